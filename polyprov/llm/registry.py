@@ -19,6 +19,12 @@ def op1_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts(table(spark, sf_dir, "documents"), path(TOKENIZER))
 
 
+def op2_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from polyprov.llm.quality import quality_scores
+
+    return quality_scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op3_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     from polyprov.llm.url_filter import url_filter
 
@@ -32,7 +38,7 @@ def op9_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_counts, op3_url_filter, op9_source_mix)}
+    return {f.__name__: f for f in (op1_token_counts, op2_quality, op3_url_filter, op9_source_mix)}
 
 
 def oracle_sql() -> dict[str, str]:
