@@ -31,6 +31,12 @@ def op3_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter(table(spark, sf_dir, "pages"))
 
 
+def op5_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from polyprov.llm.lm_score import lm_scores
+
+    return lm_scores(table(spark, sf_dir, "documents"))
+
+
 def op8_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from polyprov.llm.near_dup import near_duplicates
 
@@ -44,7 +50,7 @@ def op9_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_counts, op2_quality, op3_url_filter, op8_near_dup, op9_source_mix)}
+    return {f.__name__: f for f in (op1_token_counts, op2_quality, op3_url_filter, op5_lm_score, op8_near_dup, op9_source_mix)}
 
 
 def oracle_sql() -> dict[str, str]:
