@@ -31,6 +31,12 @@ def op3_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter(table(spark, sf_dir, "pages"))
 
 
+def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from polyprov.llm.packing import pack_documents
+
+    return pack_documents(table(spark, sf_dir, "documents"))
+
+
 def op5_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
     from polyprov.llm.lm_score import lm_scores
 
@@ -49,8 +55,15 @@ def op9_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return source_mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op10_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from polyprov.llm.shards import compacted, placement
+
+    docs = table(spark, sf_dir, "documents")
+    return placement(compacted(docs), docs)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_counts, op2_quality, op3_url_filter, op5_lm_score, op8_near_dup, op9_source_mix)}
+    return {f.__name__: f for f in (op1_token_counts, op2_quality, op3_url_filter, op4_packing, op5_lm_score, op8_near_dup, op9_source_mix, op10_shards)}
 
 
 def oracle_sql() -> dict[str, str]:
