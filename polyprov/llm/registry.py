@@ -49,6 +49,12 @@ def op6_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     return top_k(table(spark, sf_dir, "embeddings"))
 
 
+def op7_near_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from polyprov.llm.hnsw import near_vectors
+
+    return near_vectors(table(spark, sf_dir, "embeddings"))
+
+
 def op8_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from polyprov.llm.near_dup import near_duplicates
 
@@ -69,7 +75,7 @@ def op10_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_counts, op2_quality, op3_url_filter, op4_packing, op5_lm_score, op6_top_k, op8_near_dup, op9_source_mix, op10_shards)}
+    return {f.__name__: f for f in (op1_token_counts, op2_quality, op3_url_filter, op4_packing, op5_lm_score, op6_top_k, op7_near_vectors, op8_near_dup, op9_source_mix, op10_shards)}
 
 
 def oracle_sql() -> dict[str, str]:
