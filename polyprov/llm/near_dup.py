@@ -296,3 +296,17 @@ def near_duplicates(docs: DataFrame, trees: int = TREES, leaf: int = LEAF, level
         .withColumn("component_id", F.coalesce("component", "doc_id"))
         .select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
     )
+
+
+def one_of_each(docs: DataFrame, **options) -> DataFrame:
+    """The rows, with all their columns, of one document of each group of copies.
+
+    The smallest doc_id of a group stays, as one row even if its id repeats;
+    rows with a null doc_id stay.
+    """
+    judged = cut(near_duplicates(docs, **options).select("doc_id", "kept"))
+    rows = docs.join(judged.where("not kept").select("doc_id").distinct(), "doc_id", "left_anti").select(docs.columns)
+    repeated = judged.where("kept and doc_id is not null").groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").select("doc_id")
+    if repeated.isEmpty():
+        return rows
+    return rows.join(repeated, "doc_id", "left_anti").select(docs.columns).union(rows.join(repeated, "doc_id", "left_semi").select(docs.columns).dropDuplicates(["doc_id"]))

@@ -168,5 +168,20 @@ def score(docs: DataFrame, model: Model, threshold: float = 0.3) -> DataFrame:
     return docs.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "text").mapInArrow(run, schema)
 
 
+def accepted(docs: DataFrame, model: Model, threshold: float = 0.3) -> DataFrame:
+    """The rows, with all their columns, whose text scores ``threshold`` or more."""
+    held, at = docs.sparkSession.sparkContext.broadcast(model), docs.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        m = held.value
+        tool = Compressor(m.good, m.bad)
+        for batch in batches:
+            text = pc.fill_null(batch.column(at), "").cast(pa.binary())
+            rows = np.array([tool.features(x.as_py()) for x in text]).reshape(-1, 4)
+            yield batch.filter(pa.array(curve(m, rows) >= threshold))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def quality_scores(docs: DataFrame, labels: DataFrame, bounds: Fit = Fit(), threshold: float = 0.3) -> DataFrame:
     return score(docs, fit(docs, labels, bounds), threshold)

@@ -22,6 +22,8 @@ has target 0; an empty table gives no rows; other columns are ignored.
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -171,3 +173,15 @@ def source_mix(docs: DataFrame, seed: int = SEED, weights=WEIGHTS, share: float
         .withColumn("taken", taken)
         .select("doc_id", "size", "source_size", "target", "taken", F.when(F.col("size") == 0, 0).otherwise(F.floor(F.col("taken") / F.col("size") + lot)).cast("int").alias("copies"), "draw")
     )
+
+
+def mixed_documents(docs: DataFrame, seed: int = SEED, **options) -> DataFrame:
+    """The rows, with all their columns, as often as the mix has ``copies`` of them.
+
+    Rows equal in doc_id and text share their copies evenly, rounded up.
+    """
+    # Names that no column of ``docs`` has.
+    draw, n, same_id, same_draw = (f"_{x}_{uuid.uuid4().hex[:8]}" for x in ("draw", "copies", "id", "of"))
+    plan = source_mix(docs, seed, **options).groupBy(F.col("doc_id").alias(same_id), F.col("draw").alias(same_draw)).agg(F.ceil(F.sum("copies") / F.count("*")).cast("int").alias(n)).where(F.col(n) > 0)
+    rows = docs.withColumn(draw, F.xxhash64(F.lit(seed), "doc_id", "text"))
+    return rows.join(plan, (F.col(draw) == F.col(same_draw)) & F.col("doc_id").eqNullSafe(F.col(same_id))).withColumn(n, F.explode(F.sequence(F.lit(1), F.col(n)))).select(docs.columns)
