@@ -12,7 +12,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from polyprov.errors import UnsupportedForProvenance
-from polyprov.functions.algebra import ALGEBRAS, ONE, PLUS, ZERO, Algebra, Shape, bracketed, ordered_listagg
+from polyprov.functions.algebra import ALGEBRAS, ZERO, Algebra, Shape, bracketed, ordered_listagg
 from polyprov.operators.frame import Agg, AnnotatedFrame, constant, fresh, tensor, value_text
 from polyprov.options import Options
 from polyprov.plans import catalyst
@@ -151,7 +151,8 @@ def count_distinct(af: AnnotatedFrame, keys: Sequence[Column | str], spec: AggSp
     """f(DISTINCT x): set projection on keys and x, then f per key."""
     keys = [as_column(k) for k in keys]
     x = fresh("x")
-    inner = _grouped(af.with_df(af.df.withColumn(x, as_column(spec.argument))).with_df(af.df.withColumn(x, as_column(spec.argument)).where(F.col(x).isNotNull() if not keys else F.lit(True))), [*keys, F.col(x)], [], [])
+    named = af.df.withColumn(x, as_column(spec.argument))
+    inner = _grouped(af.with_df(named if keys else named.where(F.col(x).isNotNull())), [*keys, F.col(x)], [], [])
     outer = replace(spec, argument=F.col(x), distinct=False, value=None)
     kept = [catalyst.column(a) for a in catalyst.output(inner.df)[: len(keys)]]
     return _grouped(inner, kept, [outer.value_column()], [formal(inner, outer)])
@@ -186,7 +187,14 @@ def _key_ids(df: DataFrame, keys: Sequence[Column]) -> list[int | None]:
 
 
 def _grouped(af: AnnotatedFrame, keys: list[Column], values: list[Column], formals: list[Formal], delta: bool = True) -> AnnotatedFrame:
-    """The one aggregation behind all grouping rules.
+    """Grouping whose formal sums belong to the value columns of their names."""
+    out, sums = grouped_sums(af, keys, values, formals, delta)
+    ids = {a.name(): a.exprId().id() for a in catalyst.output(out.df)}
+    return replace(out, aggs={ids[n]: a for n, a in sums.items() if n in ids})
+
+
+def grouped_sums(af: AnnotatedFrame, keys: list[Column], values: list[Column], formals: list[Formal], delta: bool = True) -> tuple[AnnotatedFrame, dict[str, Agg]]:
+    """The one aggregation behind all grouping rules, and its formal sums by name.
 
     Aggregated key columns become ordinary ones: each row's annotation first gets
     the factor [formal sum = 1⊗value].
@@ -244,8 +252,7 @@ def _grouped(af: AnnotatedFrame, keys: list[Column], values: list[Column], forma
     grouped = df.groupBy(*keys).agg(*exprs)
     if annotation is None:
         grouped = grouped.withColumn(out_prov, algebra.one())
-    ids = {a.name(): a.exprId().id() for a in catalyst.output(grouped)}
-    return replace(af, df=grouped, factors=((out_prov, out_shape),), aggs={ids[n]: a for n, a in aggs_by_name.items() if n in ids})
+    return replace(af, df=grouped, factors=((out_prov, out_shape),), aggs={}), aggs_by_name
 
 
 def _scaled(prov: Column, shape: Shape, inner: Sequence[tuple[str, Column]]) -> Column:
@@ -253,6 +260,3 @@ def _scaled(prov: Column, shape: Shape, inner: Sequence[tuple[str, Column]]) ->
     for monoid, t in inner:
         out = F.concat(out, F.lit(f" *{monoid} ("), t, F.lit(")"))
     return out
-
-
-__all__ = ["AggSpec", "annotate_base", "select_rows", "project_bag", "join", "join_many", "union_all", "union_set", "project_set", "drop_duplicates", "group_by", "group_agg", "aggregate", "count_distinct", "ONE", "PLUS"]
