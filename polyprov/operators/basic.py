@@ -167,6 +167,12 @@ class Formal:
     value: Column | None
     where: Column | None = None
     inner: Column | None = None
+    inner_monoid: str | None = None
+
+
+def empty_sum(monoid: str) -> str:
+    """The formal sum of no rows: NULL, written 0; a count of none is the value 0."""
+    return "1⊗0" if monoid == "count" else ZERO
 
 
 def formal(af: AnnotatedFrame, a: AggSpec) -> Formal:
@@ -174,7 +180,7 @@ def formal(af: AnnotatedFrame, a: AggSpec) -> Formal:
         return Formal(a.name, a.monoid, F.lit("1"), a.where)
     c = as_column(a.argument)
     if isinstance(a.argument, str) and (inner := af.agg(a.argument)) is not None:
-        return Formal(a.name, a.monoid, None, a.where, F.col(inner.tensor))
+        return Formal(a.name, a.monoid, None, a.where, F.col(inner.tensor), inner.monoid)
     if a.monoid == "count":
         return Formal(a.name, a.monoid, F.when(c.isNotNull(), F.lit("1")), a.where)
     return Formal(a.name, a.monoid, value_text(af.df, c, af.options), a.where)
@@ -225,13 +231,13 @@ def grouped_sums(af: AnnotatedFrame, keys: list[Column], values: list[Column], f
             elif options.reagg_style == "evaluable":
                 c = F.concat(bracketed(F.col(prov), shape), F.lit(f" *{f.monoid} ("), f.inner, F.lit(")"))
             else:
-                c = f.inner
+                # Sums of another monoid keep together in brackets.
+                c = f.inner if f.inner_monoid == f.monoid else F.concat(F.lit("("), f.inner, F.lit(")"))
             texts[t] = c if f.where is None else F.when(f.where, c)
             names[t] = (f, fresh("sum"))
         df = df.withColumns(texts)
         for t, (f, s) in names.items():
-            c = ordered_listagg(t, f" +{f.monoid} ")
-            sums.append((c if keys else F.coalesce(c, F.lit(ZERO))).alias(s))
+            sums.append(F.coalesce(ordered_listagg(t, f" +{f.monoid} "), F.lit(empty_sum(f.monoid))).alias(s))
         aggs_by_name = {f.name: Agg(f.monoid, s) for f, s in names.values()}
         plain = not (scaled or (af.aggs and delta))
     else:

@@ -17,8 +17,8 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 from polyprov.errors import UnsupportedForProvenance
-from polyprov.functions.algebra import ZERO, Shape
-from polyprov.operators.basic import AggSpec, _grouped, group_agg
+from polyprov.functions.algebra import Shape
+from polyprov.operators.basic import AggSpec, _grouped, empty_sum, formal, group_agg
 from polyprov.operators.extended import COMPARE, factor, select_agg
 from polyprov.operators.frame import Agg, AnnotatedFrame, fresh
 from polyprov.plans import catalyst
@@ -113,7 +113,7 @@ def all_(outer: AnnotatedFrame, inner: AnnotatedFrame, a: str, op: str, b: str,
     other = fresh("other")
     if op == "=":
         aggs.append(AggSpec(other, "min", b))
-    grouped = _grouped(replace(inner, aggs={}), [F.col(k) for k in [*keys, one]], [x.value_column() for x in aggs], [_bound_formal(inner, aggs[0])])
+    grouped = _grouped(replace(inner, aggs={}), [F.col(k) for k in [*keys, one]], [x.value_column() for x in aggs], [formal(inner, aggs[0])])
     grouped = replace(grouped, df=grouped.df.drop(one))
     if keys:
         condition = None
@@ -142,13 +142,7 @@ def all_(outer: AnnotatedFrame, inner: AnnotatedFrame, a: str, op: str, b: str,
     return replace(out, df=out.df.drop(*gone, *tensors), aggs={k: v for k, v in out.aggs.items() if k not in ids})
 
 
-def _bound_formal(inner: AnnotatedFrame, spec: AggSpec):
-    from polyprov.operators.basic import formal
-
-    return formal(inner, spec)
-
-
-def scalar(outer: AnnotatedFrame, inner: AnnotatedFrame, a: str, op: str, spec: AggSpec, conditions: Sequence[Condition] = (), scale: float | None = None) -> AnnotatedFrame:
+def scalar(outer: AnnotatedFrame, inner: AnnotatedFrame, a: str, op: str, spec: AggSpec, conditions: Sequence[Condition] = ()) -> AnnotatedFrame:
     """a op (SELECT agg FROM inner WHERE correlation): join with the aggregated inner side.
 
     COUNT keeps outer rows without inner rows, as 0 (the count bug).
@@ -167,8 +161,6 @@ def scalar(outer: AnnotatedFrame, inner: AnnotatedFrame, a: str, op: str, spec:
         out = attach(outer, replace(grouped, df=F.broadcast(grouped.df)), None)
     else:
         out = attach(outer, grouped, condition)
-    if scale is not None:
-        raise UnsupportedForProvenance("scale the comparison in SQL")
     return select_agg(out, a, op, spec.name)
 
 
@@ -179,7 +171,7 @@ def outer_attach(outer: AnnotatedFrame, inner: AnnotatedFrame, condition: Column
     df = outer.df.join(inner.df, condition, "left").withColumn(zero, F.coalesce(F.col(count), F.lit(0)))
     fills = {c: F.coalesce(F.col(c), outer.algebra.one()) for c, _ in inner.factors}
     if before:
-        fills[before.tensor] = F.coalesce(F.col(before.tensor), F.lit(ZERO))
+        fills[before.tensor] = F.coalesce(F.col(before.tensor), F.lit(empty_sum("count")))
     df = df.withColumns(fills).drop(count).withColumnRenamed(zero, count)
     out = replace(outer, df=df, factors=outer.factors + inner.factors, caveats=outer.caveats)
     return replace(out, aggs=outer.aggs | ({out.attribute(count): Agg("count", before.tensor)} if before else {}))

@@ -14,8 +14,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from polyprov.errors import UnsupportedForProvenance
-from polyprov.functions.algebra import ALGEBRAS, ZERO, Algebra, Shape
-from polyprov.operators.basic import Formal, _grouped, annotate_base, grouped_sums, join, union_all
+from polyprov.functions.algebra import ALGEBRAS, Algebra, Shape
+from polyprov.operators.basic import Formal, _grouped, annotate_base, empty_sum, grouped_sums, join, union_all
 from polyprov.operators.frame import Agg, AnnotatedFrame, constant, fresh, value_text
 from polyprov.operators.unnest import attach, except_, exists_domain, exists_equal, intersect
 from polyprov.options import Options
@@ -269,7 +269,8 @@ class Annotator:
             return Formal(name, monoid, F.lit("1"), where)
         read = cat.references(args[0]) & child.aggs.keys()
         if read:
-            return Formal(name, monoid, None, where, self.term(child, args[0]))
+            plain = cat.name_of(args[0]) == "AttributeReference"
+            return Formal(name, monoid, None, where, self.term(child, args[0]), child.aggs[args[0].exprId().id()].monoid if plain else None)
         if monoid == "count":
             there = cat.column(args[0]).isNotNull()
             for a in args[1:]:
@@ -490,7 +491,7 @@ class Annotator:
         if not sub.counts:
             return attach(af, slim, condition), value
         # The count bug: outer rows without inner rows count 0.
-        fills = {c: F.coalesce(F.col(c), self.algebra.one()) for c, _ in slim.factors} | {a.tensor: F.coalesce(F.col(a.tensor), F.lit(ZERO)) for a in aggs.values()}
+        fills = {c: F.coalesce(F.col(c), self.algebra.one()) for c, _ in slim.factors} | {a.tensor: F.coalesce(F.col(a.tensor), F.lit(empty_sum(a.monoid))) for a in aggs.values()}
         df = af.df.join(slim.df, condition, "left").withColumns(fills)
         return replace(af, df=df, factors=af.factors + slim.factors, aggs=af.aggs | aggs), cat.or_zero(value)
 
