@@ -46,6 +46,8 @@ class Algebra:
     plus: Callable[[str], Column]
     delta: Callable[[Column], Column]
     symbolic: bool = False
+    #: Takes note of products and groups (circuits); gives the grouping itself.
+    recorder: object | None = None
 
     def times(self, factors: Sequence[tuple[Column, Shape]]) -> tuple[Column, Shape]:
         if not factors:

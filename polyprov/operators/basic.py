@@ -206,6 +206,8 @@ def grouped_sums(af: AnnotatedFrame, keys: list[Column], values: list[Column], f
     the factor [formal sum = 1⊗value].
     """
     algebra, options = af.algebra, af.options
+    if algebra.recorder is not None:
+        return algebra.recorder.group(af, keys, values, formals, delta)
     key_ids = set(_key_ids(af.df, keys))
     if algebra.symbolic:
         for i in [i for i in af.aggs if i in key_ids]:

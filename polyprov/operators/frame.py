@@ -81,7 +81,10 @@ class AnnotatedFrame:
         c, shape = self.product()
         name = fresh("prov")
         gone = [f for f, _ in self.factors]
-        return replace(self, df=self.df.withColumn(name, c).drop(*gone), factors=((name, shape),))
+        df = self.df.withColumn(name, c)
+        if self.algebra.recorder is not None and gone:
+            self.algebra.recorder.product(df, self.factors, name)
+        return replace(self, df=df.drop(*gone), factors=((name, shape),))
 
     def with_factor(self, c: Column, shape: Shape) -> AnnotatedFrame:
         name = fresh("prov")

@@ -238,11 +238,11 @@ class Annotator:
             values.append(cat.column(e))
             calls.append((e, inside))
         distinct = [x for _, inside in calls for x in inside if x.isDistinct()]
-        if distinct and self.options.rewrite_distinct and self.algebra.symbolic:
+        if distinct and self.options.rewrite_distinct and (self.algebra.symbolic or self.algebra.recorder is not None):
             child = self.distinct_rows(child, keys, distinct, sum(len(i) for _, i in calls))
             keys = [cat.column(g) if cat.name_of(g) == "AttributeReference" else k for g, k in zip(groups, keys, strict=False)] + keys[len(groups) :]
         texts = {}
-        if self.algebra.symbolic:
+        if self.algebra.symbolic or self.algebra.recorder is not None:
             for e, inside in calls:
                 for x in inside:
                     if (f := self.formal(child, x)) is not None:
@@ -343,7 +343,14 @@ class Annotator:
         frame = window.frameSpecification()
         if cat.name_of(frame) == "SpecifiedWindowFrame":
             low, high = frame.lower().sql(), frame.upper().sql()
-            bound = lambda t: Window.unboundedPreceding if "UNBOUNDED PRECEDING" in t else Window.unboundedFollowing if "UNBOUNDED FOLLOWING" in t else 0 if "CURRENT" in t else int(t.split()[0]) * (-1 if "PRECEDING" in t else 1)
+            def bound(t: str) -> int:
+                if "UNBOUNDED" in t:
+                    return Window.unboundedPreceding if "PRECEDING" in t else Window.unboundedFollowing
+                if "CURRENT" in t:
+                    return 0
+                n = int("".join(c for c in t if c.isdigit()))
+                return -n if "-" in t or "PRECEDING" in t else n
+
             try:
                 w = (w.rowsBetween if frame.frameType().sql() == "ROWS" else w.rangeBetween)(bound(low), bound(high))
             except ValueError as e:
@@ -534,6 +541,9 @@ class Annotator:
         kids = cat.children(e)
         if kind in ("Cast", "Alias", "PromotePrecision", "CheckOverflow", "KnownNotNull"):
             return self.term(af, kids[0], calls)
+        if kind == "Coalesce":
+            # Filled only where there is no row; its formal sum is filled as well.
+            return self.term(af, kids[0], calls)
         if kind in ARITHMETIC:
             return F.concat(F.lit("("), self.term(af, kids[0], calls), F.lit(f") {ARITHMETIC[kind]} ("), self.term(af, kids[1], calls), F.lit(")"))
         parts = []
