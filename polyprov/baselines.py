@@ -46,6 +46,14 @@ class WitnessAnnotator(Annotator):
         self.columns, self.strict, self.sublink = columns, strict, sublink
         self.names: dict[str, str] = {}
         self.uses: dict[str, int] = {}
+        self.uncorrelated: set[str] = set()
+
+    def scalar(self, af, s):
+        before = {c for c, _ in af.factors}
+        out, value = super().scalar(af, s)
+        if not s.outerAttrs().size():
+            self.uncorrelated |= {c for c, _ in out.factors} - before
+        return out, value
 
     def on_SubqueryAlias(self, plan, sub):
         child = plan.child()
@@ -145,9 +153,11 @@ class WitnessAnnotator(Annotator):
         kept = [cat.column(a) for a in cat.output(outer.df)]
         return replace(outer, df=df.select(*kept, *[c for c, _ in inner.factors]), factors=outer.factors + inner.factors)
 
-    def result(self, query: DataFrame) -> DataFrame:
+    def result(self, query: DataFrame, uncorrelated: bool = True) -> DataFrame:
+        """Result columns and witness columns; those of uncorrelated scalar subqueries,
+        which every row has alike, can be left out."""
         af, out = self.run(query)
-        return af.df.select(*map(cat.column, out), *[F.col(c).alias(self.names[c]) for c, _ in af.factors])
+        return af.df.select(*map(cat.column, out), *[F.col(c).alias(self.names[c]) for c, _ in af.factors if uncorrelated or c not in self.uncorrelated])
 
 
 def full_witness(engine: Engine, query: str | DataFrame, sublink: str = "left") -> DataFrame:

@@ -339,7 +339,7 @@ class Annotator:
 
         w = Window.partitionBy(*[cat.column(e) for e in cat.items(window.partitionSpec())])
         if orders := cat.items(window.orderSpec()):
-            w = w.orderBy(*[cat.column(e) for e in orders])
+            w = w.orderBy(*[cat.column(e.child()).asc() if "ASC" in e.direction().sql() else cat.column(e.child()).desc() for e in orders])
         frame = window.frameSpecification()
         if cat.name_of(frame) == "SpecifiedWindowFrame":
             low, high = frame.lower().sql(), frame.upper().sql()

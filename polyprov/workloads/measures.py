@@ -122,7 +122,7 @@ def _support(engine: Engine, sf_dir: str) -> DataFrame:
 
 def _validated(names: tuple[str, ...]):
     def run(engine: Engine, sf_dir: str) -> DataFrame:
-        rows = [(n, r.check, r.rows > 0 or r.ok, r.ok) for n in names for r in validate.validate(engine, tpch.text(n, sf_dir))]
+        rows = [(n, r.check, r.rows > 0 or r.ok, r.ok) for n in names for r in validate.validate(engine, tpch.text(n, sf_dir), "valued" if n in ("t11", "t15") else "symbolic")]
         return engine.spark.createDataFrame(rows, "query string, check string, ran boolean, passed boolean")
 
     return run
