@@ -51,7 +51,9 @@ class WitnessAnnotator(Annotator):
     def scalar(self, af, s):
         before = {c for c, _ in af.factors}
         out, value = super().scalar(af, s)
-        if not s.outerAttrs().size():
+        plan = s.plan().toString()
+        # One over aggregated rows keeps their annotations in its own: those witnesses count.
+        if not s.outerAttrs().size() and plan.count("Aggregate [") < 2 and "CTERelationRef" not in plan:
             self.uncorrelated |= {c for c, _ in out.factors} - before
         return out, value
 
