@@ -39,6 +39,10 @@ SHARD_ROWS = 5_000
 #: Words of a block at most; smaller inputs have smaller blocks.
 BLOCK_WORDS = 512
 
+#: Sources that are broadcast at most (some 100 bytes each), and salts beyond that.
+BROADCAST_SOURCES = 10_000
+SALTS = 32
+
 #: Multipliers of the seeded permutation: primes above any block number used.
 _PRIMES = (2147483647, 2147483629, 2147483587, 2147483579)
 
@@ -116,6 +120,15 @@ def highest_quotients(claims: DataFrame, claim: Column, blocks: Column, group: l
     )
 
 
+def _with_source(rows: DataFrame, sources: DataFrame, key: list[str]) -> DataFrame:
+    """Each row with its source's figures, whatever share of the rows a source has:
+    few sources are broadcast (their number is checked), many are joined salted."""
+    if sources.count() <= BROADCAST_SOURCES:
+        return rows.join(F.broadcast(sources), key)
+    spread = sources.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    return rows.withColumn("_salt", F.pmod("draw", F.lit(SALTS)).cast("int")).join(spread, [*key, "_salt"]).drop("_salt")
+
+
 def source_mix(docs: DataFrame, seed: int = SEED, weights=WEIGHTS, share: float = SHARE, most: int = MOST, block_words: int = BLOCK_WORDS, shard_rows: int = SHARD_ROWS) -> DataFrame:
     """doc_id, size, source_size, target, taken, copies of each row.
 
@@ -146,7 +159,7 @@ def source_mix(docs: DataFrame, seed: int = SEED, weights=WEIGHTS, share: float
         )
     )
     key = ["src_null", "src"]
-    rows = sizes.join(sources.drop("n_rows", "weight"), key).withColumn("shard", F.pmod(F.xxhash64(F.lit(seed + 1), "draw", "doc_id"), F.col("n_shards")).cast("int"))
+    rows = _with_source(sizes, sources.drop("n_rows", "weight"), key).withColumn("shard", F.pmod(F.xxhash64(F.lit(seed + 1), "draw", "doc_id"), F.col("n_shards")).cast("int"))
     # Shards of a source: their words, and their blocks by highest quotients.
     shards = rows.groupBy(*key, "shard").agg(F.sum("size").alias("shard_size"), F.first("blocks").alias("blocks"), F.first("block").alias("block"))
     n_blocks = F.ceil(F.col("shard_size") / F.col("block"))
