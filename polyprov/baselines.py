@@ -18,6 +18,7 @@ from dataclasses import replace
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StringType
 
 from polyprov.engine import Engine
 from polyprov.errors import UnsupportedForBaseline, UnsupportedForProvenance
@@ -201,7 +202,7 @@ def _row_times(*parts):
     return run(*parts)
 
 
-@F.pandas_udf("string")
+@F.pandas_udf(StringType())
 def _group_plus(s: pd.Series) -> str:
     return " + ".join(sorted(s.dropna()))
 
