@@ -1,6 +1,6 @@
 """Headline figures: run time of plain and annotated benchmark queries.
 
-One JSON line.  ``queries`` holds seconds (``<query>_plain``, ``_valued``,
+One JSON line.  ``queries`` holds seconds of execution (``<query>_plain``, ``_valued``,
 ``_symbolic``, ``_circuit``); ``overhead_pct`` the average overhead per group of
 queries and per mode; ``rewrite_sec`` the average rewriting time; ``baselines``
 seconds of the comparison systems on the first group.
