@@ -5,10 +5,11 @@ from __future__ import annotations
 import time
 from dataclasses import dataclass, replace
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from polyprov.errors import UnsupportedForProvenance
-from polyprov.functions.algebra import Algebra
+from polyprov.errors import ProvenanceTooLarge, UnsupportedForProvenance
+from polyprov.functions.algebra import ALGEBRAS, Algebra
 from polyprov.operators.frame import AnnotatedFrame
 from polyprov.options import Options
 from polyprov.plans.annotate import Annotator
@@ -66,6 +67,31 @@ class Engine:
         df = af.delivered(output)
         return ProvResult(df, af, af.caveats, time.perf_counter() - began)
 
+    def text_size(self, query: str | DataFrame) -> int:
+        """Characters of the longest annotation that the text form would have."""
+        return self.provenance(query, ALGEBRAS["length"]).df.agg(F.max("prov")).first()[0] or 0
+
+    def within_budget(self, query: str | DataFrame, or_circuit: bool = True, **options):
+        """Text annotations if none passes ``max_text_bytes``; else the circuit
+        (annotated result, circuit), or ProvenanceTooLarge."""
+        from polyprov.functions.circuit import circuit
+
+        size = self.text_size(query)
+        if size <= replace(self.options, **options).max_text_bytes:
+            return self.provenance(query, **options)
+        if or_circuit:
+            return circuit(self, query)
+        raise ProvenanceTooLarge(f"an annotation of {size} characters")
+
+    def provenance_of(self, query: str | DataFrame, rows: Column | str) -> DataFrame:
+        """The query as a circuit, expanded to text for chosen result rows only."""
+        from polyprov.functions.circuit import circuit
+
+        df, c = circuit(self, query)
+        chosen = df.where(rows)
+        texts = c.expand(chosen.select(F.col("prov").alias("gate")))
+        return chosen.join(texts, chosen["prov"] == texts["gate"]).drop("gate", "prov").withColumnRenamed("x", "prov")
+
     def rewrite(self, query: str | DataFrame, **options) -> DataFrame:
         return self.provenance(query, **options).df
 

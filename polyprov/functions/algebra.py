@@ -127,7 +127,13 @@ COST = Algebra("cost", lambda t: (_level(t, 9) + 1).cast("double"), lambda: F.li
 TRUST = Algebra("trust", lambda t: (_level(t, 9) + 1) / 10.0, lambda: F.lit(1.0), _fold(lambda a, b: a * b), lambda n: F.max(f"`{n}`"), lambda c: c)
 CLEARANCE = Algebra("clearance", lambda t: _level(t, 4).cast("int"), lambda: F.lit(0), lambda p: F.greatest(*p) if len(p) > 1 else p[0], lambda n: F.min(f"`{n}`"), lambda c: c)
 
-ALGEBRAS = {a.name: a for a in (TEXT, NAT, BAG, BOOL, LINEAGE, WHY, NORMAL_FORM, COST, TRUST, CLEARANCE)}
+#: Characters of the text annotation, without building it (comparisons not counted).
+LENGTH = Algebra(
+    "length", lambda t: F.length(t).cast("bigint"), lambda: F.lit(1).cast("bigint"), lambda p: sum(p[1:], p[0]) + F.lit(len(TIMES) * (len(p) - 1)).cast("bigint"),
+    lambda n: (F.sum(f"`{n}`") + F.lit(len(PLUS)) * (F.count(f"`{n}`") - 1)).cast("bigint"), lambda c: c + F.lit(3).cast("bigint"),
+)
+
+ALGEBRAS = {a.name: a for a in (TEXT, NAT, BAG, BOOL, LINEAGE, WHY, NORMAL_FORM, COST, TRUST, CLEARANCE, LENGTH)}
 
 
 def valued(name: str, base: Algebra, valuation: Callable[[Column], Column]) -> Algebra:

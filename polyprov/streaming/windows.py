@@ -46,6 +46,14 @@ def join_static(stream: DataFrame, static: DataFrame, on: list[str]) -> DataFram
     return stream.join(static, on).withColumn("prov", F.concat("prov", F.lit(" · "), "prov_static")).drop("prov_static")
 
 
+def join_streams(left: DataFrame, right: DataFrame, time: str, right_time: str, on, gap: str, watermark: str = "1 hour") -> DataFrame:
+    """Stream-stream join of rows with right_time within ``gap`` after time; both sides
+    forget rows past their watermarks.  The right annotation comes as ``prov_right``."""
+    l, r = left.withWatermark(time, watermark), right.withWatermark(right_time, watermark)
+    condition = on & F.col(right_time).between(F.col(time), F.col(time) + F.expr(f"INTERVAL {gap}"))
+    return l.join(r, condition).withColumn("prov", F.concat("prov", F.lit(" · "), "prov_right")).drop("prov_right")
+
+
 def first_seen(stream: DataFrame, time: str, keys: list[str], watermark: str = "1 hour") -> DataFrame:
     """Deduplication: the first row's token stands for all (the others are lost)."""
     return stream.withWatermark(time, watermark).dropDuplicatesWithinWatermark(keys)

@@ -8,7 +8,9 @@ from pyspark.sql import functions as F
 from polyprov import baselines, metrics, validate
 from polyprov.engine import Engine
 from polyprov.functions import udfs
+from polyprov.functions.algebra import ALGEBRAS
 from polyprov.functions.circuit import circuit
+from polyprov.operators.temporal import asof_join, interval_join
 from polyprov.options import Options
 from polyprov.sources.tokens import GIVEN, TokenPolicy
 from polyprov.workloads import oracle as o
@@ -90,6 +92,51 @@ def _content_hash(engine: Engine, sf_dir: str) -> DataFrame:
     return df.select(policy.column(df.columns).alias("t")).agg(F.count("*").alias("n"), F.countDistinct("t").alias("tokens"))
 
 
+@engine_query("text_length", f"SELECT c_mktsegment, CAST(length({o.delta(C)}) AS BIGINT) AS prov FROM customer GROUP BY 1")
+def _length(engine: Engine, sf_dir: str) -> DataFrame:
+    """Size of annotations without building them: what decides between text and circuit."""
+    return engine.provenance("SELECT c_mktsegment FROM customer GROUP BY c_mktsegment", ALGEBRAS["length"]).df
+
+
+_FANIN = " UNION ALL ".join(f"SELECT {k} AS fan_in, CAST(length({o.delta(_T)}) AS BIGINT) AS characters FROM (SELECT * FROM lineitem ORDER BY l_orderkey, l_partkey, l_suppkey, l_linenumber LIMIT {k})" for _T in (o.TOKEN["lineitem"],) for k in (1, 10, 1000))
+
+
+@engine_query("fan_in", _FANIN)
+def _fan_in(engine: Engine, sf_dir: str) -> DataFrame:
+    """Text grows with the fan-in; a gate id has 16 bytes."""
+    out = None
+    for k in (1, 10, 1000):
+        q = f"SELECT x FROM (SELECT 1 AS x FROM lineitem ORDER BY l_orderkey, l_partkey, l_suppkey, l_linenumber LIMIT {k}) GROUP BY x"
+        part = engine.provenance(q, ALGEBRAS["length"]).df.select(F.lit(k).alias("fan_in"), F.col("prov").alias("characters"))
+        out = part if out is None else out.union(part)
+    return out
+
+
+@engine_query("provenance_of", f"SELECT c_mktsegment, count(*) AS n, {o.delta(C)} AS prov FROM customer WHERE c_mktsegment = 'BUILDING' GROUP BY 1")
+def _of(engine: Engine, sf_dir: str) -> DataFrame:
+    return engine.provenance_of("SELECT c_mktsegment, count(*) AS n FROM customer GROUP BY c_mktsegment", "c_mktsegment = 'BUILDING'").select("c_mktsegment", "n", "prov")
+
+
+@engine_query("asof_join", f"""SELECT e.event_id, p.event_id AS before_id, {o.token('events', 'e')} || ' · ' || {o.token('events', 'p')} AS prov FROM (SELECT * FROM events WHERE event_type = 'purchase') e
+    ASOF JOIN (SELECT * FROM events WHERE event_type = 'view') p ON e.user_id = p.user_id AND e.ts >= p.ts""")
+def _asof(engine: Engine, sf_dir: str) -> DataFrame:
+    """Each purchase with the user's latest view before it."""
+    left, _ = engine.frame("SELECT event_id, user_id, ts FROM events WHERE event_type = 'purchase'")
+    right, _ = engine.frame("SELECT event_id AS before_id, user_id, ts AS seen FROM events WHERE event_type = 'view'")
+    out = asof_join(left, right, ["user_id"], "ts", "seen", ["before_id"])
+    return out.df.select("event_id", "before_id", out.product()[0].alias("prov"))
+
+
+@engine_query("interval_join", f"""SELECT e.event_id, p.event_id AS after_id, {o.token('events', 'e')} || ' · ' || {o.token('events', 'p')} AS prov FROM (SELECT * FROM events WHERE event_type = 'signup') e
+    JOIN (SELECT * FROM events WHERE event_type = 'error') p ON p.ts BETWEEN e.ts AND e.ts + INTERVAL 120 SECOND""")
+def _interval(engine: Engine, sf_dir: str) -> DataFrame:
+    """Errors within two minutes after a signup."""
+    left, _ = engine.frame("SELECT event_id, ts FROM events WHERE event_type = 'signup'")
+    right, _ = engine.frame("SELECT event_id AS after_id, ts AS at FROM events WHERE event_type = 'error'")
+    out = interval_join(left, right, "ts", "at", 120)
+    return out.df.select("event_id", "after_id", out.product()[0].alias("prov"))
+
+
 # ---------------------------------------------------------------- baselines
 
 _SPJ = "SELECT c_mktsegment, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey WHERE c_nationkey < 5 GROUP BY c_mktsegment"
