@@ -59,6 +59,21 @@ def fresh_folder(spark: SparkSession, kind: str) -> str:
     return f"{checkpoint_root(spark).rstrip('/')}/{kind}-{uuid.uuid4().hex}"
 
 
+#: Ids that are broadcast at most: 8 MB, some 50 MB as a hash table.
+BROADCAST_IDS = 1_000_000
+
+
+def by_ids(rows: DataFrame, ids: DataFrame, how: str) -> DataFrame:
+    """Semi or anti join of wide rows with distinct ids (one column, cut off).
+
+    Where the ids' checked number allows, they are broadcast and the rows stay
+    where they are; beyond that both sides are shuffled.  The result is the same.
+    """
+    name = ids.columns[0]
+    small = ids.count() <= BROADCAST_IDS
+    return rows.join(F.broadcast(ids) if small else ids, name, how).select(rows.columns)
+
+
 class Shared:
     """Small-file access to a shared folder from driver and workers.
 

@@ -33,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from polyprov.llm.common import cut, mix64, shingle_sets, text_steps
+from polyprov.llm.common import by_ids, cut, mix64, shingle_sets, text_steps
 from polyprov.llm.components import components
 
 POSITIONS = 128
@@ -256,8 +256,8 @@ def links(docs: DataFrame, base: DataFrame, trees: int = TREES, leaf: int = LEAF
         .groupBy("gid").agg(F.first("rows").alias("rows"))
     )
     members = cut(groups.select("gid", F.explode("rows").alias("row")).join(reps.select("row", "doc_id", "fp1", "fp2"), "row"))
-    wanted = members.select("doc_id").distinct()
-    sets = docs.select("doc_id", "text").join(wanted, "doc_id", "left_semi").mapInArrow(_with_sets, "fp1 long, fp2 long, shingles binary").groupBy("fp1", "fp2").agg(F.first("shingles").alias("shingles"))
+    wanted = cut(members.select("doc_id").distinct())
+    sets = by_ids(docs.select("doc_id", "text"), wanted, "left_semi").mapInArrow(_with_sets, "fp1 long, fp2 long, shingles binary").groupBy("fp1", "fp2").agg(F.first("shingles").alias("shingles"))
     return (
         members.join(sets, ["fp1", "fp2"]).select("gid", "doc_id", "shingles").repartition("gid").sortWithinPartitions("gid", "doc_id")
         .mapInArrow(_confirm(similarity), "a long, b long")
@@ -305,7 +305,7 @@ def one_of_each(docs: DataFrame, **options) -> DataFrame:
     rows with a null doc_id stay.
     """
     judged = cut(near_duplicates(docs, **options).select("doc_id", "kept"))
-    rows = docs.join(judged.where("not kept").select("doc_id").distinct(), "doc_id", "left_anti").select(docs.columns)
+    rows = by_ids(docs, cut(judged.where("not kept").select("doc_id").distinct()), "left_anti")
     repeated = judged.where("kept and doc_id is not null").groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").select("doc_id")
     if repeated.isEmpty():
         return rows
