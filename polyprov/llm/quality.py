@@ -36,7 +36,11 @@ LEVEL = 1
 
 @dataclass(frozen=True)
 class Fit:
-    """Bounds of what the classifier is fitted on."""
+    """Bounds of what the classifier is fitted on (scoring always uses whole texts).
+
+    ``per_class`` rows of each class; a dictionary learns from the first
+    ``text_bytes`` of a row, the curve from up to 16 times as many characters.
+    """
 
     per_class: int = 1500
     dictionary_bytes: int = 112_640
