@@ -102,7 +102,13 @@ class Annotator:
 
     def on_Project(self, plan, sub):
         child = self.node(plan.child(), sub)
-        named, cols, aggs, extra = cat.items(plan.projectList()), [], dict(child.aggs), {}
+        named = cat.items(plan.projectList())
+        for s in [x for e in named for x in cat.walk(e) if cat.name_of(x) == "ScalarSubquery"]:
+            # In a select list: rows without an inner row stay, with NULL.
+            child, found = self.scalar(child, s, optional=True)
+            wanted = s.exprId().id()
+            named = [cat.transform(e, lambda x: found if cat.name_of(x) == "ScalarSubquery" and x.exprId().id() == wanted else None) for e in named]
+        cols, aggs, extra = [], dict(child.aggs), {}
         there = {a.exprId().id() for a in cat.output(child.df)}
         for e in named:
             i = e.exprId().id()
@@ -162,6 +168,32 @@ class Annotator:
             return out
         return join(left, right, None if c is None else cat.column(c), how)
 
+    def on_LateralJoin(self, plan, sub):
+        """The inner side once per correlated key, joined with its annotation."""
+        how, own = plan.joinType().sql().lower(), plan.right().plan()
+        if how not in ("inner", "cross", "left outer"):
+            raise UnsupportedForProvenance(f"lateral {how} join")
+        left = self.node(plan.left(), sub)
+        s = Subquery(left)
+        right = self.node(own, s)
+        kept = cat.items(own.output())
+        ids = {a.exprId().id() for a in kept}
+        condition = F.lit(True)
+        for o, k, safe in s.keys:
+            condition = condition & (o.eqNullSafe(F.col(k)) if safe else o == F.col(k))
+        for c in s.conditions:
+            condition = condition & cat.column(cat.without_outer(c))
+        if (c := cat.option(plan.condition())) is not None:
+            condition = condition & cat.column(c)
+        if s.counts and s.keys:
+            raise UnsupportedForProvenance("a lateral COUNT, whose empty groups count 0")
+        top = own
+        while cat.name_of(top) in ("Project", "SubqueryAlias"):
+            top = top.child()
+        # An aggregate without GROUP BY has a row for every outer row, of NULLs if there is nothing.
+        always = cat.name_of(top) == "Aggregate" and not top.groupingExpressions().size()
+        return join(left, replace(right, aggs={i: a for i, a in right.aggs.items() if i in ids}), condition, "left" if how == "left outer" or always else "inner")
+
     def semi(self, left, right, c, how):
         if how == "left anti":
             if self.options.negation == "reject":
@@ -477,8 +509,11 @@ class Annotator:
             keys.append(F.col(n))
         return child.with_df(df.drop(*domain.values())), keys
 
-    def scalar(self, af, s):
-        """Join with a scalar subquery; gives the frame and what stands for its value."""
+    def scalar(self, af, s, optional: bool = False):
+        """Join with a scalar subquery; gives the frame and what stands for its value.
+
+        ``optional``: outer rows without an inner row stay.
+        """
         sub = Subquery(af)
         plan = s.plan()
         inner = self.node(plan, sub)
@@ -495,12 +530,12 @@ class Annotator:
         for o, k, safe in sub.keys:
             c = o.eqNullSafe(F.col(k)) if safe else o == F.col(k)
             condition = c if condition is None else condition & c
-        if not sub.counts:
+        if not sub.counts and not optional:
             return attach(af, slim, condition), value
         # The count bug: outer rows without inner rows count 0.
         fills = {c: F.coalesce(F.col(c), self.algebra.one()) for c, _ in slim.factors} | {a.tensor: F.coalesce(F.col(a.tensor), F.lit(empty_sum(a.monoid))) for a in aggs.values()}
         df = af.df.join(slim.df, condition, "left").withColumns(fills)
-        return replace(af, df=df, factors=af.factors + slim.factors, aggs=af.aggs | aggs), cat.or_zero(value)
+        return replace(af, df=df, factors=af.factors + slim.factors, aggs=af.aggs | aggs), cat.or_zero(value) if sub.counts else value
 
     # ------------------------------------------------------------ texts
 

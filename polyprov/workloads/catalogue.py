@@ -172,6 +172,10 @@ sql("scalar_avg", "SELECT s_name FROM supplier WHERE s_acctbal > (SELECT avg(x.s
 sql("scalar_count_bug", "SELECT c_custkey FROM customer WHERE 1 > (SELECT count(*) FROM orders WHERE o_custkey = c_custkey AND o_orderstatus = 'P' AND o_orderpriority = '1-URGENT')",
     f"""SELECT c_custkey, {C} || ' · ' || COALESCE(p, '1') || ' · [1⊗1 > ' || COALESCE(t, '1⊗0') || ']' AS prov FROM customer LEFT JOIN (SELECT o_custkey AS k, count(*) AS v, {o.formal(O, "'1'", 'count')} AS t, {o.delta(O)} AS p
         FROM orders WHERE o_orderstatus = 'P' AND o_orderpriority = '1-URGENT' GROUP BY 1) ON k = c_custkey WHERE 1 > COALESCE(v, 0)""")
+sql("scalar_select", "SELECT n_name, (SELECT max(s_acctbal) FROM supplier WHERE s_nationkey = n_nationkey) AS best FROM nation",
+    f"SELECT n_name, {o.number('v')} AS best, COALESCE(t, '0') AS best_agg, {N} || ' · ' || COALESCE(p, '1') AS prov FROM nation LEFT JOIN {_best} ON k = n_nationkey")
+sql("lateral", "SELECT n_name, best FROM nation, LATERAL (SELECT max(s_acctbal) AS best FROM supplier WHERE s_nationkey = n_nationkey GROUP BY s_nationkey) t",
+    f"SELECT n_name, {o.number('v')} AS best, t AS best_agg, {N} || ' · ' || p AS prov FROM nation JOIN {_best} ON k = n_nationkey")
 sql("nested3", "SELECT r_name FROM region WHERE r_regionkey IN (SELECT n_regionkey FROM nation WHERE n_nationkey IN (SELECT s_nationkey FROM supplier WHERE s_acctbal < 0))",
     f"""SELECT r_name, {R} || ' · ' || q AS prov FROM region JOIN (SELECT n_regionkey AS j, {o.delta(N + " || ' · ' || p")} AS q FROM nation
         JOIN (SELECT s_nationkey AS k, {o.delta(S)} AS p FROM supplier WHERE s_acctbal < 0 GROUP BY 1) ON k = n_nationkey GROUP BY 1) ON j = r_regionkey""")
