@@ -154,7 +154,7 @@ def _power(which: str, base: np.uint64, n: int) -> np.ndarray:
         have[0] = 1
         with np.errstate(over="ignore"):
             np.multiply.accumulate(have, out=have)
-        if size <= 16 * STEP_BYTES:
+        if size <= 32 * STEP_BYTES:
             _powers[which] = have
     return have[:n]
 
@@ -169,8 +169,8 @@ def mix64(x: np.ndarray) -> np.ndarray:
         return x ^ (x >> np.uint64(31))
 
 
-def text_steps(column: pa.Array) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
-    """(first row, bytes, row offsets) for runs of rows of about STEP_BYTES."""
+def text_steps(column: pa.Array, step: int = STEP_BYTES) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(first row, bytes, row offsets) for runs of rows of about ``step`` bytes."""
     column = pc.fill_null(column, "").cast(pa.large_string())
     if len(column) == 0:
         return
@@ -179,7 +179,7 @@ def text_steps(column: pa.Array) -> Iterator[tuple[int, np.ndarray, np.ndarray]]
     raw = np.frombuffer(data, np.uint8) if data is not None else np.empty(0, np.uint8)
     row = 0
     while row < len(column):
-        end = int(np.searchsorted(offsets, offsets[row] + STEP_BYTES, side="right")) - 1
+        end = int(np.searchsorted(offsets, offsets[row] + step, side="right")) - 1
         end = min(max(end, row + 1), len(column))
         yield row, raw[offsets[row] : offsets[end]], offsets[row : end + 1] - offsets[row]
         row = end

@@ -46,6 +46,9 @@ RUN_TOKENS = 4_000_000
 WORD_FILE_BYTES = 64_000_000
 GRAM_FILE_TOKENS = 4_000_000
 
+#: Text bytes of a step: larger ones share more look-ups in the arrays.
+TEXT_STEP = 1 << 20
+
 _END = np.uint64(0xE9D5A1B4C3F28761)
 BLOCKS = "shard int, n long, keys binary, counts binary"
 
@@ -197,7 +200,7 @@ class Step:
 
 
 def _steps(column: pa.Array) -> Iterator[Step]:
-    for _, data, offsets in text_steps(column):
+    for _, data, offsets in text_steps(column, TEXT_STEP):
         words, at = hash_words(data, offsets)
         n = len(at) - 1
         hashes = np.empty(len(words) + n, np.uint64)
