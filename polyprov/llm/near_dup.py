@@ -9,8 +9,9 @@ are compared exhaustively: first by one byte of each minwise token, which leaves
 groups of likely partners, then on the full sets.  Inside a group, documents that
 are already tied need no comparison, so a group of n copies costs about n
 comparisons and gives n - 1 links.  Larger nodes branch again; what is
-still large at ``levels`` is dealt into leaves that share a few members, a new
-deal in every tree.
+still large at ``levels`` is compared whole, by one task a node: it holds the
+members' sketches (some 150 bytes a row), reads full sets from mapped files, and
+goes on from the members tied last, so that a hub ties all of its own in one pass.
 
 With similarity 0.75 a pair meets in a tree with probability 0.81 (leaves of
 the first level) to 0.53 (of the fourth), so eight trees miss at most 0.3 % of such
@@ -26,21 +27,21 @@ kept.  An empty table gives no rows; other columns are ignored.
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
+import uuid
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from polyprov.llm.common import by_ids, cut, mix64, shingle_sets, text_steps
+from polyprov.llm.common import Shared, by_ids, cut, fresh_folder, mix64, shingle_sets, text_steps
 from polyprov.llm.components import components
 
 POSITIONS = 128
 TREES = 8
 LEAF = 1000
 LEVELS = 4
-PIVOTS = 4
 SEED = 5
 
 #: Equal sketch bytes of 128 that a pair needs to be looked at in full: a pair
@@ -178,14 +179,15 @@ def _group(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array([g.tolist() for g in out], pa.list_(pa.int64()))], ["gid", "rows"])
 
 
-def _confirm(similarity: int):
-    def common(pivot: np.ndarray, others: list[np.ndarray]) -> np.ndarray:
-        whole = np.concatenate(others)
-        at = np.minimum(np.searchsorted(pivot, whole), len(pivot) - 1)
-        ends = np.cumsum([len(o) for o in others])
-        total = np.concatenate([[0], np.cumsum(pivot[at] == whole)])
-        return total[ends] - total[ends - [len(o) for o in others]]
+def _common(pivot: np.ndarray, others: list[np.ndarray]) -> np.ndarray:
+    whole = np.concatenate(others)
+    at = np.minimum(np.searchsorted(pivot, whole), len(pivot) - 1)
+    ends = np.cumsum([len(o) for o in others])
+    total = np.concatenate([[0], np.cumsum(pivot[at] == whole)])
+    return total[ends] - total[ends - [len(o) for o in others]]
+
 
+def _confirm(similarity: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Groups (gid, doc_id, set) to links that tie all that belong together."""
         for part in _by_key(batches):
@@ -202,7 +204,7 @@ def _confirm(similarity: int):
                         js = js[tie[js] != tie[i]]
                         if not len(js):
                             continue
-                        both = common(sets[i], [sets[j] for j in js])
+                        both = _common(sets[i], [sets[j] for j in js])
                         for j in js[100 * both >= similarity * (sizes[i] + sizes[js] - both)]:
                             if tie[j] != tie[i]:
                                 a.append(ids[lo + i])
@@ -213,10 +215,10 @@ def _confirm(similarity: int):
     return run
 
 
-def _leaves(reps: DataFrame, trees: int, leaf: int, levels: int, seed: int) -> DataFrame:
-    """(key, row): the nodes that are compared exhaustively, of two rows or more."""
+def _leaves(reps: DataFrame, trees: int, leaf: int, levels: int, seed: int) -> tuple[DataFrame, DataFrame | None]:
+    """(key, row) of the nodes of two rows up to ``leaf``, and of those still larger at the last level."""
     keys = reps.select("row", "sig").mapInArrow(_grow(trees, seed), "key long, row long")
-    done = []
+    done, rest = [], None
     for level in range(1, levels + 1):
         keys = cut(keys)
         sizes = keys.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
@@ -228,29 +230,115 @@ def _leaves(reps: DataFrame, trees: int, leaf: int, levels: int, seed: int) -> D
         if level < levels:
             keys = large.select("row", "key").join(reps.select("row", "sig"), "row").select("row", "sig", "key").mapInArrow(_grow(trees, seed), "key long, row long")
         else:
-            done.append(_deal(large, leaf))
+            rest = large.select("key", "row").distinct()
     out = done[0]
     for d in done[1:]:
         out = out.union(d)
-    return out
+    return out, rest
+
+
+#: Shingles of a file of sets, sketches compared at once, and files a task keeps mapped.
+SET_FILE = 1 << 22
+SKETCH_STEP = 1 << 16
+MAPPED_FILES = 256
+
+
+def _store(uri: str):
+    """Texts to files of sets, and where each lies."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sets, held = [], 0
+
+        def flush(sets):
+            name = f"sets-{uuid.uuid4().hex}"
+            Shared(uri).write(name, b"".join(s.tobytes() for s in sets))
+            prints, starts = [_digest(s) for s in sets], np.cumsum([0] + [len(s) for s in sets])[:-1]
+            return pa.RecordBatch.from_arrays([pa.array([p[0] for p in prints], pa.int64()), pa.array([p[1] for p in prints], pa.int64()), pa.array([name] * len(sets), pa.string()), pa.array(starts, pa.int64())], ["fp1", "fp2", "file", "start"])
+
+        for batch in batches:
+            for s in _sets(batch.column(1)):
+                sets.append(s)
+                held += len(s)
+                if held > SET_FILE:
+                    yield flush(sets)
+                    sets, held = [], 0
+        if sets:
+            yield flush(sets)
+
+    return run
+
+
+def _tied(sizes: np.ndarray, sketches: np.ndarray, sets: Callable[[int], np.ndarray], similarity: int) -> Iterator[tuple[int, np.ndarray]]:
+    """(member, members it ties) until all that belong together are tied."""
+    left = np.arange(len(sizes))
+    while len(left) > 1:
+        reach, left = [int(left[0])], left[1:]
+        while reach and len(left):
+            i = reach.pop()
+            near = []
+            for k in range(0, len(left), SKETCH_STEP):
+                part = left[k : k + SKETCH_STEP]
+                fit = (100 * np.minimum(sizes[i], sizes[part]) >= similarity * np.maximum(sizes[i], sizes[part])) & (np.count_nonzero(sketches[part] == sketches[i], axis=1) >= SKETCH_LEAST)
+                near.append(k + np.flatnonzero(fit))
+            near, hits = np.concatenate(near), []
+            for k in range(0, len(near), 64):
+                js = near[k : k + 64]
+                both = _common(sets(i), [sets(j) for j in left[js]])
+                hits.append(js[100 * both >= similarity * (sizes[i] + sizes[left[js]] - both)])
+            hit = np.concatenate(hits) if hits else near
+            if len(hit):
+                yield i, left[hit]
+                reach += left[hit].tolist()
+                left = np.delete(left, hit)
+
+
+def _whole(uri: str, similarity: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Nodes (key, doc_id, n_shingles, sketch, file, start) to links that tie all that belong together."""
+        shared, maps = Shared(uri), {}
+
+        def mapped(name: str) -> np.ndarray:
+            if name not in maps:
+                if len(maps) >= MAPPED_FILES:
+                    maps.clear()
+                maps[name] = np.asarray(shared.mapped(name, np.uint64))
+            return maps[name]
 
+        for part in _by_key(batches):
+            keys, ids, sizes, starts = (part.column(i).to_numpy() for i in (0, 1, 2, 5))
+            sketches, names = _matrix(part.column(3), np.uint8, POSITIONS), part.column(4).combine_chunks().dictionary_encode()
+            if isinstance(names, pa.ChunkedArray):
+                names = names.combine_chunks()
+            files, which = names.dictionary.to_pylist(), names.indices.to_numpy(zero_copy_only=False)
+            at = _bounds(keys)
+            for lo, hi in zip(at[:-1], at[1:], strict=True):
+                sets = lambda i, lo=lo: mapped(files[which[lo + i]])[starts[lo + i] : starts[lo + i] + sizes[lo + i]]
+                for i, js in _tied(sizes[lo:hi], sketches[lo:hi], sets, similarity):
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(js), ids[lo + i])), pa.array(ids[lo:hi][js])], ["a", "b"])
 
-def _deal(large: DataFrame, leaf: int) -> DataFrame:
-    """Large nodes dealt into leaves; each leaf also has the node's pivots."""
-    pieces = F.ceil(F.col("n") / F.lit(leaf - PIVOTS)).cast("int")
-    lots = [F.xxhash64(F.lit(p), "key", "row") for p in range(PIVOTS)]
-    nodes = large.groupBy("key").agg(F.max("n").alias("n"), *[F.min_by("row", lot).alias(f"p{i}") for i, lot in enumerate(lots)])
-    child = lambda piece: F.xxhash64("key", piece)
-    dealt = large.select(child(F.pmod(F.xxhash64(F.lit(PIVOTS), "key", "row"), pieces).cast("int")).alias("key"), "row")
-    pivots = nodes.select("key", F.explode(F.sequence(F.lit(0), pieces - 1)).alias("piece"), F.array_distinct(F.array(*[f"p{i}" for i in range(PIVOTS)])).alias("rows"))
-    return dealt.union(pivots.select(child(F.col("piece")).alias("key"), F.explode("rows").alias("row"))).distinct()
+    return run
+
+
+def _large_links(docs: DataFrame, reps: DataFrame, large: DataFrame, similarity: int) -> DataFrame:
+    """(a, b) doc_ids: confirmed links inside nodes of any size."""
+    uri = fresh_folder(docs.sparkSession, "near-sets")
+    rows = cut(large.select("row").distinct().join(reps.select("row", "doc_id", "n_shingles", "fp1", "fp2", "sketch"), "row"))
+    wanted = cut(rows.select("doc_id").distinct())
+    stored = cut(by_ids(docs.select("doc_id", "text"), wanted, "left_semi").mapInArrow(_store(uri), "fp1 long, fp2 long, file string, start long"))
+    places = stored.groupBy("fp1", "fp2").agg(F.min(F.struct("file", "start")).alias("at"))
+    placed = rows.join(places, ["fp1", "fp2"]).select("row", "doc_id", "n_shingles", "sketch", "at.file", "at.start")
+    nodes = large.join(placed, "row").select("key", "doc_id", "n_shingles", "sketch", "file", "start")
+    out = cut(nodes.repartition("key").sortWithinPartitions("key", "doc_id").mapInArrow(_whole(uri, similarity), "a long, b long"))
+    Shared(uri).remove([r.file for r in stored.select("file").distinct().collect()])
+    return out
 
 
 def links(docs: DataFrame, base: DataFrame, trees: int = TREES, leaf: int = LEAF, levels: int = LEVELS, similarity: int = 75, seed: int = SEED) -> DataFrame:
     """(a, b) doc_ids: confirmed links that tie every group of near copies."""
     firsts = base.where("n_shingles > 0 and doc_id is not null").groupBy("fp1", "fp2").agg(F.min_by("row", "doc_id").alias("row"))
     reps = cut(base.join(firsts.select("row"), "row").select("row", "doc_id", "n_shingles", "fp1", "fp2", "sig", "sketch"))
-    nodes = _leaves(reps, trees, leaf, levels, seed).join(reps.select("row", "n_shingles", "sketch"), "row")
+    small, large = _leaves(reps, trees, leaf, levels, seed)
+    nodes = small.join(reps.select("row", "n_shingles", "sketch"), "row")
     groups = (
         nodes.select("key", "row", "n_shingles", "sketch").repartition("key").sortWithinPartitions("key").mapInArrow(_group, "gid long, rows array<long>")
         .groupBy("gid").agg(F.first("rows").alias("rows"))
@@ -258,10 +346,11 @@ def links(docs: DataFrame, base: DataFrame, trees: int = TREES, leaf: int = LEAF
     members = cut(groups.select("gid", F.explode("rows").alias("row")).join(reps.select("row", "doc_id", "fp1", "fp2"), "row"))
     wanted = cut(members.select("doc_id").distinct())
     sets = by_ids(docs.select("doc_id", "text"), wanted, "left_semi").mapInArrow(_with_sets, "fp1 long, fp2 long, shingles binary").groupBy("fp1", "fp2").agg(F.first("shingles").alias("shingles"))
-    return (
+    confirmed = (
         members.join(sets, ["fp1", "fp2"]).select("gid", "doc_id", "shingles").repartition("gid").sortWithinPartitions("gid", "doc_id")
         .mapInArrow(_confirm(similarity), "a long, b long")
     )
+    return confirmed if large is None else confirmed.union(_large_links(docs, reps, large, similarity))
 
 
 def _with_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

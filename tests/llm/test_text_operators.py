@@ -256,6 +256,21 @@ def test_near_copies_equal_brute_force(spark, leaf, levels):
     assert got[0].n_shingles == 0 and got[3].n_shingles == 1
 
 
+def test_near_copies_of_a_large_star(spark):
+    """Variants of one text, tied to it and not to one another, in nodes far above the leaf."""
+    from polyprov.llm.near_dup import near_duplicates
+
+    (hub,), variants = group("s", 1, 0), group("s", 3000, 3, 4)
+    texts = [*variants[:2000], hub, *variants[2000:], *group("t", 3, 0)[:1]]
+    shingles = lambda t: {tuple(t.split()[k : k + 5]) for k in range(116)}
+    sets = [shingles(t) for t in texts]
+    near = lambda a, b: 100 * len(a & b) >= 75 * len(a | b)
+    assert all(near(s, sets[2000]) for s in sets[:-1])
+    assert sum(near(sets[k], sets[k + 1]) for k in range(1999)) < 50
+    got = {r.doc_id: r.component_id for r in near_duplicates(docs(spark, texts), leaf=100, levels=2, trees=16).collect()}
+    assert got == {i: 0 for i in range(3001)} | {3001: 3001}
+
+
 def test_near_copies_of_given_documents(spark):
     from polyprov.llm.near_dup import near_duplicates
 
