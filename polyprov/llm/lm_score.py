@@ -13,7 +13,9 @@ the workers that score.
   differences, compressed) to the task that merges a range; nothing is gathered
   in one place.  The highest level keeps counts, lower levels keep the number of
   distinct left neighbours; either level has the three discounts of modified
-  Kneser-Ney from its own counts of counts, and the sums its contexts need.
+  modified Kneser-Ney from its own counts of counts, and the sums its contexts need.
+* Counts and sums take one byte each; the few that do not fit are listed beside
+  them.  Shuffled blocks are let go level by level.
 
 A text's tokens are its words and one end.  A word never seen in training has
 the share of one extra type in the level-0 uniform distribution.
@@ -26,6 +28,7 @@ table gives no rows; other columns are ignored.
 
 from __future__ import annotations
 
+import gc
 import json
 from collections.abc import Iterator
 from dataclasses import asdict, dataclass, field
@@ -39,7 +42,7 @@ from pyspark.sql import functions as F
 from polyprov.llm.common import Shared, fresh_folder, hash_words, text_steps
 
 #: Order of the model of the registered query.
-ORDER = 2
+ORDER = 3
 
 #: Tokens that a worker counts before it sends blocks off, and text bytes or grams a file is made for.
 RUN_TOKENS = 4_000_000
@@ -49,6 +52,9 @@ GRAM_FILE_TOKENS = 4_000_000
 #: Text bytes of a step: larger ones share more look-ups in the arrays.
 TEXT_STEP = 1 << 20
 
+#: Byte of a value that is listed beside the bytes.
+LISTED = 255
+
 _END = np.uint64(0xE9D5A1B4C3F28761)
 BLOCKS = "shard int, n long, keys binary, counts binary"
 
@@ -181,9 +187,41 @@ class Reader:
         cut = np.searchsorted(ordered, bounds)
         for s in range(len(bounds) - 1):
             if cut[s + 1] > cut[s]:
-                out[order[cut[s] : cut[s + 1]]] = self.file(kind, level, s, dtype)[ordered[cut[s] : cut[s + 1]] - bounds[s]]
+                have = self.file(kind, level, s, dtype)
+                if len(have):
+                    out[order[cut[s] : cut[s + 1]]] = have[ordered[cut[s] : cut[s + 1]] - bounds[s]]
+        return out
+
+    def listed(self, kind: str, level: int, ids: np.ndarray, bounds: list[int], width: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """(places in ids, their columns) of the values listed beside the bytes."""
+        shard = np.searchsorted(bounds, ids, side="right") - 1
+        for s in np.unique(shard):
+            of = np.flatnonzero(shard == s)
+            lists = self.file(kind, level, int(s), np.uint32).reshape(width, -1)
+            yield of, lists[1:, np.searchsorted(lists[0], (ids[of] - bounds[s]).astype(np.uint32))].astype(np.int64)
+
+    def adjusted(self, level: int, ids: np.ndarray) -> np.ndarray:
+        """Counts (of left neighbours below the highest level) of grams; 0 for unknown ones."""
+        bounds = self.m.starts[level]
+        out = self.at("adj", level, ids, np.uint8, bounds).astype(np.int64)
+        large = np.flatnonzero(out == LISTED)
+        for of, columns in self.listed("adjx", level, ids[large], bounds, 2):
+            out[large[of]] = columns[0]
         return out
 
+    def sums(self, level: int, contexts: np.ndarray) -> tuple[np.ndarray, list[np.ndarray]]:
+        """Sum of counts, and numbers of 1, 2, 3+, of contexts."""
+        bounds = [*self.m.ranges[level], self.m.starts[level - 1][-1] + 2]
+        code = self.at("sum", level, contexts, np.uint8, bounds).astype(np.int64)
+        numbers = [code % 16, code // 16, np.zeros(len(code), np.int64)]
+        total = numbers[0] + 2 * numbers[1]
+        large = np.flatnonzero(code == LISTED)
+        for of, columns in self.listed("sumx", level, contexts[large], bounds, 6):
+            total[large[of]] = columns[0] + (columns[1] << 32)
+            for n, column in zip(numbers, columns[2:], strict=True):
+                n[large[of]] = column
+        return total, numbers
+
     def known(self, level: int, keys: np.ndarray) -> np.ndarray:
         """Ids of keys in any order."""
         distinct, back = np.unique(keys, return_inverse=True)
@@ -237,7 +275,7 @@ def _count(blocks: DataFrame, model: Model, level: int, ranges: list[int], finis
     sizes = [by[s]["n"] if s in by else 0 for s in range(len(ranges))]
     for s in range(len(ranges)):
         if s not in by:
-            for kind in ("keys", "count", "adj", "suffix", "sum", "n1", "n2", "n3"):
+            for kind in ("keys", "count", "adj", "adjx", "suffix", "sum", "sumx"):
                 Shared(model.uri).write(f"{kind}{level}-{s}", b"")
     if "keys" in next(iter(by.values()), {"keys": 1}):
         model.starts[level] = [0, *np.cumsum(sizes).tolist()]
@@ -246,6 +284,9 @@ def _count(blocks: DataFrame, model: Model, level: int, ranges: list[int], finis
         model.tokens = int(sum(by[s].get("tokens", 0) for s in by)) or model.tokens
     model.totals[level] = [float(x) for x in np.sum([by[s]["totals"] for s in by if "totals" in by[s]] or [[0] * 4], axis=0)]
     model.discounts[level] = discounts(of_counts)
+    # Spark drops the blocks' shuffle files once nothing refers to them.
+    gc.collect()
+    blocks.sparkSession.sparkContext._jvm.System.gc()
 
 
 def discounts(n: np.ndarray) -> list[float]:
@@ -263,13 +304,27 @@ def _of_counts(counts: np.ndarray) -> tuple[list[int], list[float]]:
     return seen[:5].tolist(), [float(counts.sum()), float((counts == 1).sum()), float((counts == 2).sum()), float((counts >= 3).sum())]
 
 
+def _write_counts(reader: Reader, level: int, shard: int, counts: np.ndarray) -> None:
+    large = np.flatnonzero(counts >= LISTED)
+    reader.shared.write(f"adj{level}-{shard}", np.minimum(counts, LISTED).astype(np.uint8).tobytes())
+    reader.shared.write(f"adjx{level}-{shard}", np.stack([large, counts[large]]).astype(np.uint32).tobytes())
+
+
 def _write_sums(reader: Reader, level: int, shard: int, contexts: np.ndarray, counts: np.ndarray, low: int, high: int) -> None:
-    """Sum of counts and numbers of 1, 2, 3+ per context of the file's range."""
+    """Sum of counts and numbers of 1, 2, 3+ per context of the file's range.
+
+    Without a 3+ the numbers say all: n1 + 16 * n2 in a byte, if they are small.
+    """
     i = contexts - low
     n = high - low
-    reader.shared.write(f"sum{level}-{shard}", np.bincount(i, weights=counts, minlength=n).astype(np.float64).tobytes())
-    for kind, mask in (("n1", counts == 1), ("n2", counts == 2), ("n3", counts >= 3)):
-        reader.shared.write(f"{kind}{level}-{shard}", np.bincount(i[mask], minlength=n).astype(np.uint32).tobytes())
+    n1, n2, n3 = (np.bincount(i[mask], minlength=n).astype(np.uint32) for mask in (counts == 1, counts == 2, counts >= 3))
+    large = np.flatnonzero((n3 > 0) | (n1 > 15) | (n2 > 14))
+    code = (n1 + 16 * n2).astype(np.uint8)
+    code[large] = LISTED
+    total = np.bincount(i, weights=counts, minlength=n)[large].astype(np.uint64)
+    reader.shared.write(f"sum{level}-{shard}", code.tobytes())
+    columns = [large, total & np.uint64(0xFFFFFFFF), total >> np.uint64(32), n1[large], n2[large], n3[large]]
+    reader.shared.write(f"sumx{level}-{shard}", np.stack([c.astype(np.uint32) for c in columns]).tobytes())
 
 
 def train(texts: DataFrame, order: int = ORDER) -> Model:
@@ -305,6 +360,8 @@ def train(texts: DataFrame, order: int = ORDER) -> Model:
         _count_grams(texts, model, level)
     for level in range(order - 1, 0, -1):
         _count_neighbours(spark, model, level)
+        if level > 2:
+            Shared(model.uri).remove([f"suffix{level}-{s}" for s in range(len(model.ranges[level]))])
     return model
 
 
@@ -335,9 +392,10 @@ def _count_grams(texts: DataFrame, model: Model, level: int) -> None:
         reader.shared.write(f"keys{level}-{shard}", keys.tobytes())
         before, word = (keys // width).astype(np.int64), keys % width
         if not top:
-            reader.shared.write(f"suffix{level}-{shard}", _suffixes(reader, level, before, word).tobytes())
+            if level > 2:
+                reader.shared.write(f"suffix{level}-{shard}", _suffixes(reader, level, before, word).tobytes())
             return {"n": len(keys), "keys": 1}
-        reader.shared.write(f"adj{level}-{shard}", counts.astype(np.uint32).tobytes())
+        _write_counts(reader, level, shard, counts)
         _write_sums(reader, level, shard, before, counts, ranges[shard], ([*ranges, contexts])[shard + 1])
         seen, totals = _of_counts(counts)
         return {"n": len(keys), "keys": 1, "of_counts": seen, "totals": totals}
@@ -351,7 +409,10 @@ def _suffixes(reader: Reader, level: int, before: np.ndarray, word: np.ndarray)
     if level == 2:
         return word.astype(np.int64)
     grams, lower = reader.m.starts[level - 1][-1], reader.m.starts[level - 2][-1]
-    context = reader.at("suffix", level - 1, before, np.int64, reader.m.starts[level - 1])
+    if level == 3:
+        context = (reader.at("keys", 2, before, np.uint64, reader.m.starts[2]) % reader.width).astype(np.int64)
+    else:
+        context = reader.at("suffix", level - 1, before, np.int64, reader.m.starts[level - 1])
     context[before == grams + 1] = lower + 1
     return reader.known(level - 1, context.astype(np.uint64) * reader.width + word)
 
@@ -375,7 +436,7 @@ def _count_neighbours(spark, model: Model, level: int) -> None:
     def finish(reader: Reader, shard: int, grams: np.ndarray, counts: np.ndarray) -> dict:
         adjusted = np.zeros(starts[shard + 1] - starts[shard], np.uint32)
         adjusted[grams.astype(np.int64) - starts[shard]] = counts
-        reader.shared.write(f"adj{level}-{shard}", adjusted.tobytes())
+        _write_counts(reader, level, shard, adjusted)
         if level > 1:
             before = (np.asarray(reader.file("keys", level, shard, np.uint64)) // width).astype(np.int64)
             _write_sums(reader, level, shard, before, adjusted, model.ranges[level][shard], ([*model.ranges[level], model.starts[level - 1][-1] + 2])[shard + 1])
@@ -418,18 +479,17 @@ def probabilities(reader: Reader, step: Step) -> tuple[np.ndarray, np.ndarray]:
     total, n1, n2, n3 = m.totals[1]
     d = m.discounts[1]
     rest = (d[0] * n1 + d[1] * n2 + d[2] * n3) / total
-    p = (_discounted(reader.at("adj", 1, distinct, np.uint32, m.starts[1]), d) / total + rest / (m.types + 1))[back]
+    p = (_discounted(reader.adjusted(1, distinct), d) / total + rest / (m.types + 1))[back]
     ids, word = words, words.astype(np.uint64)
     for level in range(2, m.order + 1):
         d = m.discounts[level]
         context = _contexts(ids, step.first, m.starts[level - 1][-1])
         keys, back = np.unique(context.astype(np.uint64) * reader.width + word, return_inverse=True)
         grams = reader.ids(level, keys)
-        seen = reader.at("adj", level, grams, np.uint32, m.starts[level])
+        seen = reader.adjusted(level, grams)
         before, of = np.unique((keys // reader.width).astype(np.int64), return_inverse=True)
-        bounds = [*m.ranges[level], m.starts[level - 1][-1] + 2]
-        total = reader.at("sum", level, before, np.float64, bounds)
-        held = sum(x * reader.at(k, level, before, np.uint32, bounds) for x, k in zip(d, ("n1", "n2", "n3"), strict=True))
+        total, numbers = reader.sums(level, before)
+        held = sum(x * n for x, n in zip(d, numbers, strict=True))
         total, held = total[of], held[of]
         there = total > 0
         safe = np.where(there, total, 1.0)

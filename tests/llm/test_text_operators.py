@@ -176,6 +176,18 @@ def test_lm_scores_equal_brute_force(spark, order):
         assert r.base_score == pytest.approx(w[3]) and r.score == pytest.approx(w[4])
 
 
+def test_lm_registered_order_sees_two_words_before(spark, tmp_path):
+    """The registered query's scores are those of a trigram model; counts and sums beyond a byte, too."""
+    from polyprov.llm.registry import queries
+
+    rng = np.random.default_rng(3)
+    texts = [" ".join(rng.choice(list("abcdefgh"), 30)) for _ in range(400)] + [" ".join(f"u{k % 700} v{k % 3}" for k in range(5000))]
+    docs(spark, texts).write.parquet(f"{tmp_path}/documents.parquet")
+    want = brute_scores(list(enumerate(texts)), 3, lambda i: zlib.crc32(str(i).encode()) % 7 == 2)
+    got = {r.doc_id: r.score for r in queries()["op5_lm_score"](spark, str(tmp_path)).collect()}
+    assert len(got) == len(texts) and all(got[i] == pytest.approx(w[4]) for i, w in want.items())
+
+
 def test_lm_probabilities_sum_to_one(spark):
     from polyprov.llm import lm_score as lm
 
