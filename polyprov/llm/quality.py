@@ -36,15 +36,10 @@ LEVEL = 1
 
 @dataclass(frozen=True)
 class Fit:
-    """Bounds of what the classifier is fitted on (scoring always uses whole texts).
-
-    ``per_class`` rows of each class; a dictionary learns from the first
-    ``text_bytes`` of a row, the curve from up to 16 times as many characters.
-    """
+    """Bounds of what the classifier is fitted on: ``per_class`` rows of each class, with their whole texts."""
 
     per_class: int = 1500
     dictionary_bytes: int = 112_640
-    text_bytes: int = 4000
     seed: int = 11
 
 
@@ -132,7 +127,7 @@ def fit(docs: DataFrame, labels: DataFrame, bounds: Fit = Fit()) -> Model:
     chosen = [usable.where(F.col("quality") == c).orderBy(lot, "doc_id").limit(bounds.per_class) for c in (0, 1)]
     # At most 2 * per_class ids: a bound that does not grow with the data.
     sample = docs.select("doc_id", "text").where(~held_out(F.col("doc_id"))).join(F.broadcast(chosen[0].union(chosen[1])), "doc_id")
-    rows = sorted((r.doc_id, r.quality, (r.text or "").encode()) for r in sample.select("doc_id", "quality", F.substring("text", 1, 16 * bounds.text_bytes).alias("text")).collect())
+    rows = sorted((r.doc_id, r.quality, (r.text or "").encode()) for r in sample.select("doc_id", "quality", "text").collect())
     order = np.random.default_rng(bounds.seed).permutation(len(rows))
     parts: dict[tuple[int, int], list[bytes]] = {(c, k): [] for c in (0, 1) for k in (0, 1)}
     seen: set[bytes] = set()
@@ -144,7 +139,7 @@ def fit(docs: DataFrame, labels: DataFrame, bounds: Fit = Fit()) -> Model:
         parts[quality, int(len(parts[quality, 0]) > len(parts[quality, 1]))].append(text)
     if not all(parts.values()):
         raise ValueError("labelled rows of both classes are needed")
-    good, bad = (train_dictionary([t[: bounds.text_bytes] for t in parts[c, 0]], bounds.dictionary_bytes) for c in (1, 0))
+    good, bad = (train_dictionary(parts[c, 0], bounds.dictionary_bytes) for c in (1, 0))
     tool = Compressor(good, bad)
     x = np.array([tool.features(t) for c in (0, 1) for t in parts[c, 1]])
     y = np.repeat([0.0, 1.0], [len(parts[0, 1]), len(parts[1, 1])])

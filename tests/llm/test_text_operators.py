@@ -99,6 +99,19 @@ def test_quality_on_held_out_rows(spark):
     assert wins > 0.85 and np.mean(np.array(good) >= 0.3) > 0.95
 
 
+def test_quality_learns_from_whole_texts(spark):
+    """What tells the classes apart lies beyond 4,000 bytes; texts are longer than 64,000 characters."""
+    from polyprov.llm.quality import fit
+
+    rng = np.random.default_rng(8)
+    words = lambda kind, n: " ".join(f"{kind}{x}" for x in rng.integers(0, 300, n))
+    d = docs(spark, [words("same", 800) + " " + words("bad" if i % 2 else "good", 9000) for i in range(24)])
+    labels = spark.createDataFrame([(i, 1 - i % 2) for i in range(24)], "doc_id long, quality int")
+    m = fit(d, labels)
+    assert b"good" in m.good and b"bad" in m.bad
+    assert m.mean[3] > np.log1p(64_000)
+
+
 def test_quality_edges(spark):
     from polyprov.llm.quality import accepted, fit
 
