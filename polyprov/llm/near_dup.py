@@ -371,7 +371,13 @@ def _with_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def near_duplicates(docs: DataFrame, trees: int = TREES, leaf: int = LEAF, levels: int = LEVELS, similarity: int = 75, seed: int = SEED) -> DataFrame:
-    """doc_id, n_shingles, component_id, kept of each row."""
+    """doc_id, n_shingles, component_id, kept of each row.
+
+    The filters before the confirmation are made for a ``similarity`` of 75 %;
+    a lower one is refused, as pairs would be lost.
+    """
+    if similarity < 75:
+        raise ValueError("the similarity is 75 or more")
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     base = cut(docs.mapInArrow(_sign, "doc_id long, n_shingles long, fp1 long, fp2 long, sig binary, sketch binary").withColumn("row", F.monotonically_increasing_id()))
     confirmed = links(docs, base, trees, leaf, levels, similarity, seed)

@@ -316,6 +316,13 @@ def test_near_copies_edges(spark):
     assert one_of_each(twice).count() == 1
 
 
+def test_near_copies_refuse_a_similarity_that_loses_pairs(spark):
+    from polyprov.llm.near_dup import near_duplicates
+
+    with pytest.raises(ValueError):
+        near_duplicates(docs(spark, group("a", 2, 1)), similarity=50)
+
+
 def test_components(spark):
     from polyprov.llm.components import components
 
