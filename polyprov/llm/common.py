@@ -7,6 +7,7 @@ repeat are kept as rows.  Columns beyond those an operator reads are ignored.
 from __future__ import annotations
 
 import os
+import shutil
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -38,10 +39,13 @@ def word_count(text) -> F.Column:
 
 
 def checkpoint_root(spark: SparkSession) -> str:
-    """The folder of ``spark.checkpoint.dir``; where it is unset, one of our own."""
+    """The folder of ``spark.checkpoint.dir``; where it is unset and the session
+    runs on one machine (as in tests), one of our own.  A cluster must name one."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if root:
         return root
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir must name a folder that all machines share")
     root = os.environ.get("POLYPROV_SHARED_DIR") or os.path.join(tempfile.gettempdir(), "polyprov-shared")
     return "file://" + root
 
@@ -55,8 +59,19 @@ def cut(df: DataFrame) -> DataFrame:
 
 
 def fresh_folder(spark: SparkSession, kind: str) -> str:
-    """URI of a new folder below the shared one."""
-    return f"{checkpoint_root(spark).rstrip('/')}/{kind}-{uuid.uuid4().hex}"
+    """URI of a new folder below the shared one; it goes when the session ends, if not before."""
+    uri = f"{checkpoint_root(spark).rstrip('/')}/{kind}-{uuid.uuid4().hex}"
+    path = spark._jvm.org.apache.hadoop.fs.Path(uri)
+    store = path.getFileSystem(spark._jsc.hadoopConfiguration())
+    store.mkdirs(path)
+    store.deleteOnExit(path)
+    return uri
+
+
+def drop_folder(spark: SparkSession, uri: str) -> None:
+    """Remove a folder of ours and what it holds."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(uri)
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
 #: Ids that are broadcast at most: 8 MB, some 50 MB as a hash table.
@@ -78,11 +93,13 @@ class Shared:
     """Small-file access to a shared folder from driver and workers.
 
     ``file:`` folders are used in place (so arrays can be memory-mapped); other
-    schemes go through ``pyarrow.fs`` and are mapped from a local cached copy.
+    schemes go through ``pyarrow.fs`` and are mapped from copies of this process,
+    which ``close`` removes (arrays mapped before stay readable).
     """
 
     def __init__(self, uri: str):
         self.uri = uri
+        self.copies = os.path.join(tempfile.gettempdir(), f"{uri.rsplit('/', 1)[-1]}-{os.getpid()}-{uuid.uuid4().hex[:8]}")
         parsed = urlparse(uri)
         self.local = parsed.path if parsed.scheme in ("", "file") else None
 
@@ -108,11 +125,10 @@ class Shared:
             return os.path.join(self.local, name)
         from pyarrow import fs
 
-        folder = os.path.join(tempfile.gettempdir(), self.uri.rsplit("/", 1)[-1])
-        target = os.path.join(folder, name)
+        target = os.path.join(self.copies, name)
         if not os.path.exists(target):
             store, base = fs.FileSystem.from_uri(self.uri)
-            os.makedirs(folder, exist_ok=True)
+            os.makedirs(self.copies, exist_ok=True)
             part = f"{target}.{uuid.uuid4().hex}"
             with store.open_input_stream(f"{base}/{name}") as src, open(part, "wb") as dst:
                 while chunk := src.read(1 << 24):
@@ -120,6 +136,9 @@ class Shared:
             os.replace(part, target)
         return target
 
+    def close(self) -> None:
+        shutil.rmtree(self.copies, ignore_errors=True)
+
     def mapped(self, name: str, dtype) -> np.ndarray:
         path = self.path(name)
         if os.path.getsize(path) == 0:

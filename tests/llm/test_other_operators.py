@@ -2,6 +2,7 @@
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from polyprov.llm.common import table
 
@@ -211,24 +212,67 @@ def test_near_vectors_equal_brute_force(spark):
     rows = [(i, rng.normal(size=8).tolist()) for i in range(300)]
     rows += [(400 + i, (centre + rng.normal(size=8) * 0.05).tolist()) for i in range(120)]
     rows += [(600 + i, [1.0, 2.0] * 4) for i in range(30)] + [(900 + n, e) for n, e in enumerate(ODD)] + [(600, [1.0, 2.0] * 4), (None, [1.0, 2.0] * 4)]
-    got = sorted((str(r.vec_id), r.n_links, r.component_id) for r in near_vectors(vectors(spark, rows), shards=2).collect())
+    got = sorted((str(r.vec_id), r.n_links, r.component_id) for r in near_vectors(vectors(spark, rows), shard_rows=260).collect())
     assert got == brute_links(rows)
     assert near_vectors(vectors(spark, [])).collect() == []
 
 
-def test_graph_recall_and_audit():
-    from polyprov.llm.hnsw import Graph, audited_beam
+def test_near_vectors_through_graphs_of_several_shards(spark):
+    """Shards far above the size that is scanned whole; links within and between them."""
+    from polyprov.llm.hnsw import near_vectors
+
+    rng = np.random.default_rng(2)
+    x = rng.normal(size=(4200, 32))
+    for start, n, spread in ((0, 600, 0.05), (1000, 300, 0.12), (1500, 90, 0.05)):
+        x[start : start + n] = x[start] + rng.normal(size=(n, 32)) * spread
+    for i in range(2000, 2400, 2):
+        x[i + 1] = x[i] + rng.normal(size=32) * 0.03
+    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+    near = unit @ unit.T >= 0.95
+    np.fill_diagonal(near, False)
+    out = {r.vec_id: r for r in near_vectors(vectors(spark, [(i, v.tolist()) for i, v in enumerate(x)]), shard_rows=1400).collect()}
+    links = np.array([out[i].n_links for i in range(len(x))])
+    assert (links <= near.sum(axis=1)).all()
+    linked = near.any(axis=1)
+    assert (links[linked] / near.sum(axis=1)[linked]).mean() >= 0.98
+    assert all(out[i].component_id == i for i in np.flatnonzero(~linked))
+    assert sum(out[i].component_id == 0 for i in range(600)) >= 597
+    assert sum(out[i + 1].component_id == i for i in range(2000, 2400, 2)) >= 196
+
+
+def test_near_vectors_audit(spark):
+    """The audit counts links to others only, over vectors that have some."""
+    from polyprov.llm.hnsw import Graph, audited, link_answers, shares_found
+    from polyprov.llm.vectors import packed
 
     rng = np.random.default_rng(5)
     x = rng.normal(size=(4000, 32))
     x[2000:3000] = x[0] + rng.normal(size=(1000, 32)) * 0.05
-    x /= np.linalg.norm(x, axis=1, keepdims=True)
-    g = Graph(x)
-    q = x[rng.choice(4000, 200, replace=False)].astype(np.float32)
-    beam, recall = audited_beam(g, q, 0.95)
-    found = len(g.within(q, 0.95, beam)[0])
-    truth = int((q @ x.T.astype(np.float32) >= 0.95).sum())
-    assert recall >= 0.9 and found >= 0.9 * truth
+    x = (x / np.linalg.norm(x, axis=1, keepdims=True)).astype(np.float32)
+    g, own = Graph(x), np.arange(1900, 2100)
+    beam, margin, recall, n = audited(g, x[own], own, 0.95)
+    true, got = shares_found(g, x[own], own, 0.95, beam, margin)
+    exact = (x[own] @ x.T >= 0.95).sum(axis=1) - 1
+    assert (true == exact).all() and n == (exact > 0).sum() and recall >= 0.99
+    assert (got[true > 0] / true[true > 0]).mean() == pytest.approx(recall)
+    v = packed(vectors(spark, [(i, r.tolist()) for i, r in enumerate(x[1000:3000].astype(float))])).withColumn("weight", F.lit(1).cast("long"))
+    _, built = link_answers(v, 2000, 32, shard_rows=700)
+    audits = built.collect()
+    assert sum(r.n for r in audits) == 2000 and all(r.recall >= 0.99 and r.audited > 50 for r in audits)
+
+
+def test_ties_unite_like_a_plain_search():
+    from polyprov.llm.hnsw import Ties
+
+    rng = np.random.default_rng(8)
+    i, j = rng.integers(0, 400, 260), rng.integers(0, 400, 260)
+    ties, plain = Ties(400), list(range(400))
+    for k in range(0, 260, 37):
+        ties.unite(i[k : k + 37], j[k : k + 37])
+    for _ in range(400):
+        for a, b in zip(i, j, strict=True):
+            plain[a] = plain[b] = min(plain[a], plain[b])
+    assert ties.label.tolist() == plain
 
 
 # ------------------------------------------------------------ shards
