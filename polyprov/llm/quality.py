@@ -13,9 +13,11 @@ The dictionaries and the curve come from a bounded sample of labelled rows
 with crc32(doc_id as text) mod 5 = 0 are held out and never learned from.
 
 Null and empty texts compress to nothing: their difference is 0 and they get the
-score of the curve there.  Repeated rows get equal scores; tables without labels
-of both classes raise ValueError on fitting; an empty table gives no rows; other
-columns, source and language among them, are ignored.
+score of the curve there.  Repeated rows get equal scores; of rows that repeat a
+sampled doc_id the fit sees the smallest text.  Without two different labelled
+texts of either class (no labels, an empty table) there is nothing to learn: every
+score is 0.5, no row is rejected.  An empty table gives no rows; other columns,
+source and language among them, are ignored.
 """
 
 from __future__ import annotations
@@ -32,6 +34,8 @@ from pyspark.sql import functions as F
 
 PIECE = 4096
 LEVEL = 1
+#: Score where there is nothing to learn from.
+UNKNOWN = 0.5
 
 
 @dataclass(frozen=True)
@@ -120,14 +124,15 @@ def curve(model: Model, rows: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(model.weights[0] + z @ np.array(model.weights[1:]), -30, 30)))
 
 
-def fit(docs: DataFrame, labels: DataFrame, bounds: Fit = Fit()) -> Model:
-    """Dictionaries and curve from at most 2 * per_class labelled rows."""
+def fit(docs: DataFrame, labels: DataFrame, bounds: Fit = Fit()) -> Model | None:
+    """Dictionaries and curve from at most 2 * per_class labelled rows; None where they teach nothing."""
     usable = labels.where(F.col("quality").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.min("quality").alias("quality"))
     lot = F.xxhash64(F.lit(bounds.seed), "doc_id")
     chosen = [usable.where(F.col("quality") == c).orderBy(lot, "doc_id").limit(bounds.per_class) for c in (0, 1)]
     # At most 2 * per_class ids: a bound that does not grow with the data.
     sample = docs.select("doc_id", "text").where(~held_out(F.col("doc_id"))).join(F.broadcast(chosen[0].union(chosen[1])), "doc_id")
-    rows = sorted((r.doc_id, r.quality, (r.text or "").encode()) for r in sample.select("doc_id", "quality", "text").collect())
+    one_each = sample.groupBy("doc_id", "quality").agg(F.min("text").alias("text"))
+    rows = sorted((r.doc_id, r.quality, (r.text or "").encode()) for r in one_each.collect())
     order = np.random.default_rng(bounds.seed).permutation(len(rows))
     parts: dict[tuple[int, int], list[bytes]] = {(c, k): [] for c in (0, 1) for k in (0, 1)}
     seen: set[bytes] = set()
@@ -138,7 +143,7 @@ def fit(docs: DataFrame, labels: DataFrame, bounds: Fit = Fit()) -> Model:
         seen.add(text)
         parts[quality, int(len(parts[quality, 0]) > len(parts[quality, 1]))].append(text)
     if not all(parts.values()):
-        raise ValueError("labelled rows of both classes are needed")
+        return None
     good, bad = (train_dictionary(parts[c, 0], bounds.dictionary_bytes) for c in (1, 0))
     tool = Compressor(good, bad)
     x = np.array([tool.features(t) for c in (0, 1) for t in parts[c, 1]])
@@ -150,9 +155,11 @@ def fit(docs: DataFrame, labels: DataFrame, bounds: Fit = Fit()) -> Model:
     return Model(good, bad, tuple(w), tuple(mean), tuple(scale))
 
 
-def score(docs: DataFrame, model: Model, threshold: float = 0.3) -> DataFrame:
+def score(docs: DataFrame, model: Model | None, threshold: float = 0.3) -> DataFrame:
     """doc_id, held_out, score, predicted, difference of each row."""
     schema = f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, held_out boolean, score double, predicted int, difference double"
+    if model is None:
+        return docs.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), F.lit(UNKNOWN).alias("score"), F.lit(int(UNKNOWN >= threshold)).alias("predicted"), F.lit(0.0).alias("difference"))
     held = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -167,8 +174,10 @@ def score(docs: DataFrame, model: Model, threshold: float = 0.3) -> DataFrame:
     return docs.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "text").mapInArrow(run, schema)
 
 
-def accepted(docs: DataFrame, model: Model, threshold: float = 0.3) -> DataFrame:
+def accepted(docs: DataFrame, model: Model | None, threshold: float = 0.3) -> DataFrame:
     """The rows, with all their columns, whose text scores ``threshold`` or more."""
+    if model is None:
+        return docs if threshold <= UNKNOWN else docs.limit(0)
     held, at = docs.sparkSession.sparkContext.broadcast(model), docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -32,9 +32,11 @@ def op3_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from public_tokenizers import path
+
     from polyprov.llm.packing import pack_documents
 
-    return pack_documents(table(spark, sf_dir, "documents"))
+    return pack_documents(table(spark, sf_dir, "documents"), model_path=path(TOKENIZER))
 
 
 def op5_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -20,6 +20,7 @@ from functools import lru_cache
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 SPACE = "▁"
 
@@ -138,6 +139,41 @@ def merger(model_path: str) -> Merger:
     return Merger(model_path)
 
 
+#: Texts up to so many bytes go through the library itself, some of them at a time.
+LIBRARY_BYTES = 1 << 20
+
+
+def token_lengths(docs: DataFrame, model_path: str) -> DataFrame:
+    """doc_id and n (tokens) of each row, for operators that need lengths only.
+
+    The library counts, which is faster than merging here; longer texts, for which
+    it would need memory in proportion, are merged unit by unit as in ``token_counts``.
+    The numbers are the same.
+    """
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import sentencepiece
+
+        library = sentencepiece.SentencePieceProcessor(model_file=model_path)
+        for batch in batches:
+            text, n = pc.fill_null(batch.column(1), ""), []
+            sizes = pc.binary_length(text).to_numpy(zero_copy_only=False)
+            row = 0
+            while row < len(text):
+                end, held = row, 0
+                while end < len(text) and (end == row or held + sizes[end] <= LIBRARY_BYTES):
+                    held += sizes[end]
+                    end += 1
+                if held > LIBRARY_BYTES:
+                    n.append(merger(model_path).count(text[row].as_py()))
+                else:
+                    n += [len(x) for x in library.encode(text.slice(row, end - row).to_pylist(), num_threads=1)]
+                row = end
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64())], ["doc_id", "n"])
+
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(count, "doc_id long, n long")
+
+
 def token_counts(docs: DataFrame, model_path: str, limit: int = 4096) -> DataFrame:
     """doc_id, n_bytes, n_tokens and over_limit (n_tokens > limit) of each row."""
 

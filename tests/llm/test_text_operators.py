@@ -113,15 +113,21 @@ def test_quality_learns_from_whole_texts(spark):
 
 
 def test_quality_edges(spark):
-    from polyprov.llm.quality import accepted, fit
+    from polyprov.llm.quality import accepted, fit, quality_scores
 
     d, labels = table(spark, SF, "documents"), table(spark, SF, "labels")
     m = fit(d, labels)
     odd = docs(spark, ODD * 2)
     assert accepted(odd, m, 0.0).count() == 2 * len(ODD) and accepted(odd, m, 0.0).columns == odd.columns
     assert accepted(odd, m, 1.1).count() == 0
-    with pytest.raises(ValueError):
-        fit(d, labels.where("quality = 1"))
+    # Nothing to learn from: one class, one distinct text a class, no rows.
+    twins = docs(spark, ["a b c", "a b c", "d e f", "d e f"])
+    for some, marks in ((d, labels.where("quality = 1")), (d.limit(0), labels), (twins, spark.createDataFrame([(0, 0), (1, 0), (2, 1), (3, 1)], "doc_id long, quality int"))):
+        m = fit(some, marks)
+        assert m is None and {(r.score, r.predicted) for r in quality_scores(some, marks).collect()} <= {(0.5, 1)}
+        assert quality_scores(some, marks).count() == some.count() == accepted(some, m).count()
+    # Rows that repeat a sampled id neither fail nor count more than once.
+    assert fit(d.union(d), labels) == fit(d, labels)
 
 
 # ------------------------------------------------------------ language model
@@ -441,30 +447,93 @@ def test_packing_covers_every_token_once(spark):
         assert at == members[0].bin_fill <= capacity and capacity == min(c for c in (512, 1024, 2048, 4096) if c >= at)
 
 
-def test_packing_is_best_fit():
-    from polyprov.llm.packing import opening, pack
-
-    rng = np.random.default_rng(1)
-    lengths = rng.integers(1, 4096, 400)
-    bins, _, capacity, fill = pack(lengths)
-    # By hand: longest first, into the open bin with the least room.
-    rooms, count, used, left = [], 0, {}, int(lengths.sum())
-    for i in np.argsort(-lengths, kind="stable"):
+def naive_packing(lengths, choose):
+    """Longest first into the open bin with the least room; ``choose`` opens one."""
+    order, rooms, fills, where = sorted(range(len(lengths)), key=lambda i: (-lengths[i], i)), [], [], {}
+    for at, i in enumerate(order):
         n = int(lengths[i])
-        left -= n
-        fit = [(room, b) for b, room in enumerate(rooms) if room >= n]
+        fit = [(room, -b) for b, room in enumerate(rooms) if room >= n]
         if fit:
-            room = min(fit)[0]
-            assert rooms[int(bins[i])] == room
-            b = int(bins[i])
+            b = -min(fit)[1]
         else:
-            b = count
-            assert int(bins[i]) == b
-            rooms.append(opening(n, left, (512, 1024, 2048, 4096), 48))
-            count += 1
+            b = len(rooms)
+            rooms.append(choose(n, [int(lengths[j]) for j in order[at + 1 :]], sum(rooms)))
+            fills.append(0)
         rooms[b] -= n
-        used[b] = used.get(b, 0) + n
-    assert fill.sum() and (fill <= capacity).all() and used == {int(b): int(f) for b, f in zip(bins, fill, strict=True)}
+        fills[b] += n
+        where[i] = b
+    return where, fills
+
+
+def naive_cost(fills, capacities=(512, 1024, 2048, 4096)):
+    return sum(48 + c + c * c / 16384 for f in fills for c in [min(c for c in capacities if c >= f)])
+
+
+def test_packing_is_the_cheapest_best_fit():
+    """Against a plain packer, for every set of lengths and both ways to foresee fills."""
+    from itertools import combinations
+
+    from polyprov.llm.packing import pack
+
+    def chooser(some, regard):
+        def choose(n, rest, open_room):
+            def per_token(c):
+                coming = sum(x for x in rest if x <= c - n) - (open_room if regard else 0)
+                return (48 + c + c * c / 16384) / (n + min(c - n, max(0, coming)))
+
+            return min((c for c in some if c >= n), key=lambda c: (per_token(c), c))
+
+        return choose
+
+    rng = np.random.default_rng(1)
+    for lengths in (rng.integers(1, 4097, 150), np.minimum(4096, rng.geometric(0.003, 200)), np.array([512, 1024, 2048, 4096, 1, 1, 1])):
+        bins, offsets, capacity, fill = pack(lengths)
+        costs = {}
+        for size in range(4):
+            for smaller in combinations((512, 1024, 2048), size):
+                for regard in (False, True):
+                    costs[smaller, regard] = naive_cost(naive_packing(lengths, chooser((*smaller, 4096), regard))[1])
+        fills = {int(b): int(f) for b, f in zip(bins, fill, strict=True)}
+        assert naive_cost(fills.values()) == pytest.approx(min(costs.values()))
+        assert sum(fills.values()) == lengths.sum() and (offsets + lengths <= fill).all() and (fill <= capacity).all()
+
+
+def test_packing_opens_several_lengths_and_costs_less(spark):
+    """On the given documents: more than one length opens, for less than the largest alone."""
+    from public_tokenizers import path
+
+    from polyprov.llm.packing import pack_documents
+    from polyprov.llm.token_counts import token_counts
+
+    model = path("piece_bpe_32k.model")
+    d = table(spark, "/root/testdata/sf0.01", "documents")
+    rows = pack_documents(d, model_path=model).where("length > 0").collect()
+    bins = {(r.shard, r.bin): (r.capacity, r.bin_fill) for r in rows}
+    alone = naive_packing([r.length for r in rows], lambda n, rest, room: 4096)[1]
+    assert len({c for c, _ in bins.values()}) > 1
+    assert naive_cost([f for _, f in bins.values()]) < 0.95 * naive_cost(alone)
+    tokens = {r.doc_id: r.n_tokens for r in token_counts(d, model).collect()}
+    packed = defaultdict(int)
+    for r in rows:
+        packed[r.doc_id] += r.length
+    assert dict(packed) == {i: n for i, n in tokens.items() if n}
+
+
+def test_packing_deals_repeated_rows_apart(spark):
+    from polyprov.llm.packing import pack_documents
+
+    d = docs(spark, ["a b c"] * 900).withColumn("doc_id", F.lit(None).cast("long"))
+    shards = [r.n for r in pack_documents(d, shard_rows=100).groupBy("shard").count().withColumnRenamed("count", "n").collect()]
+    assert sum(shards) == 900 and max(shards) < 200
+
+
+def test_token_lengths_of_long_texts(spark, monkeypatch):
+    from public_tokenizers import path
+
+    from polyprov.llm import token_counts as tc
+
+    d, model = docs(spark, [*ODD, "word " * 300_000, "one two"]), path("piece_bpe_32k.model")
+    assert sorted((r.doc_id, r.n) for r in tc.token_lengths(d, model).collect()) == sorted((r.doc_id, r.n_tokens) for r in tc.token_counts(d, model).collect())
 
 
 def test_packing_of_nothing(spark):
