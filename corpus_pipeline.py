@@ -19,6 +19,9 @@ from polyprov.llm.packing import pack_documents
 from polyprov.llm.quality import accepted, fit
 from polyprov.llm.source_mix import mixed_documents
 
+#: Vocabulary of the tokens that are packed.
+TOKENIZER = "piece_bpe_32k.model"
+
 
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the compression classifier does not reject (operator 2)."""
@@ -36,8 +39,10 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of documents in bins of permitted lengths (operator 4)."""
-    return pack_documents(docs)
+    """Pieces of documents, by their tokens, in bins of permitted lengths (operator 4)."""
+    from public_tokenizers import path
+
+    return pack_documents(docs, model_path=path(TOKENIZER))
 
 
 STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
