@@ -47,76 +47,140 @@ def test_rules_equal_plain_python(spark):
         assert r.verdict == verdict if rule else r.verdict in ("allow", "block")
 
 
-def brute_tree(rows, kids_kept=8, depth=3, least=5, z=1.96, prior=0.1, strength=4.0, at=0.8):
-    """rows: (id, host, path, verdict or None) -> {id: (template, verdict)}."""
+def brute_tree(rows, kids_kept=8, least_rows=10, slack=0.1, least_labels=5, z=1.96, prior=0.1, strength=4.0, dilution=0.25, at=0.8):
+    """rows: (id, host, path, verdict or None) -> {id: (template, verdict)}, by recursion over nodes."""
     import re
     from collections import Counter, defaultdict
 
-    template = {i: "" for i, *_ in rows}
-    parent = dict(template)
-    segments = {i: [s for s in p.split("/") if s] for i, _, p, _ in rows}
-    for level in range(depth):
-        kids, total = defaultdict(Counter), Counter()
-        for i, h, _, _ in rows:
-            if len(segments[i]) > level:
-                kids[h, template[i]][segments[i][level]] += 1
-                total[h, template[i]] += 1
-        new = dict(template)
-        for i, h, _, _ in rows:
-            if len(segments[i]) > level:
-                s, place = segments[i][level], (h, template[i])
-                many = len(kids[place]) > kids_kept and len(kids[place]) ** 2 > total[place]
-                parent[i] = template[i]
-                new[i] = template[i] + "/" + ("*" if many or re.fullmatch(r"[0-9]+(\.[A-Za-z0-9]+)?", s) else s)
-        template = new
-    for i, *_ in rows:
-        if len(segments[i]) > depth:
-            template[i] += "/**"
-    leaf = defaultdict(lambda: [0, 0])
-    for i, h, _, v in rows:
-        leaf[h, parent[i], template[i]][0] += v is not None
-        leaf[h, parent[i], template[i]][1] += v == "block"
-    groups = defaultdict(list)
-    for (h, p, t), (n, b) in leaf.items():
-        groups[h, p, n >= least].append((b / n if n else 0.0, t, n, b))
-    purity = {}
-    for (h, p, known), members in groups.items():
-        members.sort()
-        branches = []
-        for k, (rate, t, n, b) in enumerate(members):
-            join = False
-            if known and k:
-                r0, _, n0, b0 = members[k - 1]
-                pool = (b + b0) / (n + n0)
-                join = abs(rate - r0) <= z * (pool * (1 - pool) * (1 / n + 1 / n0)) ** 0.5
-            if join:
-                branches[-1].append((t, n, b))
-            else:
-                branches.append([(t, n, b)])
-        for branch in branches:
-            n, b = sum(x[1] for x in branch), sum(x[2] for x in branch)
-            for t, _, _ in branch:
-                purity[h, p, t] = (b + strength * prior) / (n + strength)
-    return {i: (template[i], v or ("block" if purity[h, parent[i], template[i]] >= at else "allow")) for i, h, p, v in rows}
+    number = lambda s: re.fullmatch(r"[0-9]+([.][A-Za-z0-9]+)?", s)
+    split = {i: [s for s in p.split("/") if s] for i, _, p, _ in rows}
+    verdict = {i: v for i, _, _, v in rows}
+    template = {}
+
+    def labels(members):
+        return sum(verdict[i] is not None for i in members), sum(verdict[i] == "block" for i in members)
+
+    def content(members, level):
+        below = [split[i][level:] for i in members]
+        return Counter((re.sub("^[0-9]+", "*", b[0]) if b else "/", len(b)) for b in below)
+
+    def same_content(one, two, level):
+        h, g = content(one, level), content(two, level)
+        apart = sum(abs(h[k] / len(one) - g[k] / len(two)) for k in h | g) / 2
+        return apart <= (len(h | g) * (1 / len(one) + 1 / len(two))) ** 0.5 / 2 + slack
+
+    def pools(kind):
+        """Branches of one kind to pools."""
+        known = sorted((k for k in kind if labels(k[1])[0] >= least_labels), key=lambda k: (labels(k[1])[1] / labels(k[1])[0], k[0]))
+        out = []
+        for k in known:
+            n, bad = labels(k[1])
+            if out:
+                n0, bad0 = labels(out[-1][-1][1])
+                pooled = (bad + bad0) / (n + n0)
+                if bad / n - bad0 / n0 <= z * (pooled * (1 - pooled) * (1 / n + 1 / n0)) ** 0.5:
+                    out[-1].append(k)
+                    continue
+            out.append([k])
+        rest = [k for k in kind if k not in known]
+        if len(out) == 1:
+            return [out[0] + rest]
+        return [*out, rest] if rest else out
+
+    def grow(members, level, prefix):
+        for i in members:
+            if len(split[i]) == level:
+                template[i] = prefix
+        kids = defaultdict(list)
+        for i in members:
+            if len(split[i]) > level:
+                kids[split[i][level]].append(i)
+        n = sum(map(len, kids.values()))
+        if len(kids) > kids_kept and len(kids) ** 2 > n:
+            names = dict.fromkeys(kids, "*")
+        else:
+            names = {s: "*" if number(s) else s for s in kids}
+            # Branches by what is most frequent below them; neighbours in that order are compared.
+            some = [(s, m) for s, m in kids.items() if not number(s) and len(m) >= least_rows]
+            main = {s: max(content(m, level + 1).items(), key=lambda kv: (kv[1], BIN[kv[0]])) for s, m in some}
+            some.sort(key=lambda x: (BIN[main[x[0]][0]], main[x[0]][1] / len(x[1]), x[0]))
+            chains = []
+            for k, branch in enumerate(some):
+                if k and same_content(some[k - 1][1], branch[1], level + 1):
+                    chains[-1].append(branch)
+                else:
+                    chains.append([branch])
+            for chain in chains:
+                for pool in pools(chain):
+                    if len(pool) > 1:
+                        names |= {s: "{" + min(x for x, _ in pool) + "}" for s, _ in pool}
+        nodes = defaultdict(list)
+        for s, m in kids.items():
+            nodes[names[s]] += m
+        for name, m in nodes.items():
+            grow(m, level + 1, f"{prefix}/{name}")
+
+    hosts = defaultdict(list)
+    for i, h, _, _ in rows:
+        hosts[h].append(i)
+    out = {}
+    for members in hosts.values():
+        grow(members, 0, "")
+        leaves = defaultdict(list)
+        for i in members:
+            leaves[template[i]].append(i)
+        for t, m in leaves.items():
+            n, bad = labels(m)
+            s = strength + dilution * (len(m) - n)
+            judged = "block" if (bad + s * prior) / (n + s) >= at else "allow"
+            out |= {i: (t, verdict[i] or judged) for i in m}
+    return out
+
+
+#: Bins of what may lie below a branch in the tests (set from Spark's hash).
+BIN = {}
 
 
 def test_tree_equals_brute_force(spark):
-    from polyprov.llm.url_filter import RULES, url_filter
+    from polyprov.llm.url_filter import BINS, RULES, url_filter
 
     rng = np.random.default_rng(2)
     urls = []
     for _ in range(2400):
         host = ["a.com", "b.com", "c.org", "d.net"][rng.integers(4)]
         urls.append(f"https://{host}/{['en', 'fr', 'shop', 'es'][rng.integers(4)]}/{['x', 'y', rng.integers(1000)][rng.integers(3)]}/{rng.integers(50)}/{'z/' * rng.integers(2)}")
+    # Branches alike in content, one of them blocked; and one that differs in depth.
+    urls += [f"http://e.net/{p}/{i}" for p in ("good", "bad1", "bad2", "bad3") for i in range(60 if p == "bad1" else 20)]
+    urls += [f"http://f.com/{p}/{i}" for p, n in (("en", 200), ("de", 20)) for i in range(n)]
+    urls += [f"http://e.net/deep/{i}/b/c/d/e/f.html" for i in range(30)] + ["http://e.net", "no url"]
     # A path that rules block in part: the rest of its template follows.
-    rules = (*RULES, ("d.net/shop/x/1", "block"), ("d.net/shop/x/2", "block"), ("d.net/shop/x/3", "block"), ("d.net/shop/x/4", "block"))
+    rules = (*RULES, *((f"d.net/shop/x/{i}", "block") for i in (1, 2, 3, 4)), ("e.net/bad1/", "block"), ("e.net/good/", "allow"))
+    rows = [(i, *(lambda h, p, r, v: (h, p, v))(*expected_rule(u, rules))) for i, u in enumerate(urls)]
+    import re
+
+    below = {(re.sub("^[0-9]+", "*", s[k]) if k < len(s) else "/", len(s) - k) for _, _, p, _ in rows for s in [[x for x in p.split("/") if x]] for k in range(1, len(s) + 1)}
+    hashed = spark.createDataFrame(list(below), "kind string, depth int").withColumn("bin", F.pmod(F.xxhash64("kind", "depth"), F.lit(BINS))).collect()
+    BIN.update({(r.kind, r.depth): r.bin for r in hashed})
     df = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
     got = {r.page_id: (r.template, r.verdict) for r in url_filter(df, rules).collect()}
-    rows = [(i, *(lambda h, p, r, v: (h, p, v))(*expected_rule(u, rules))) for i, u in enumerate(urls)]
     assert got == brute_tree(rows)
+    templates = {got[i][0] for i in got}
+    assert "/deep/*/b/c/d/e/f.html" in templates and any("{" in t for t in templates)
     assert any(got[i][1] == "block" and rows[i][3] is None for i in got)
 
 
+def test_unlabelled_branches_join_blocked_ones_on_pages(spark):
+    """On pages shaped like the given ones: where a host's labels are nearly all bad, its other languages go."""
+    from polyprov.llm.url_filter import url_filter
+
+    urls = [f"https://blog.x.example.com/{lang}/{i}{'.html' if i % 3 else ''}" for lang, n in (("en", 400), ("de", 30), ("fr", 25)) for i in range(800, 800 + n)]
+    urls += [f"https://www.y.example.org/{lang}/{i}" for lang, n in (("en", 300), ("es", 20)) for i in range(n)]
+    out = {r.page_id: r for r in url_filter(spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")).collect()}
+    first = lambda i: urls[i].split("/")[3]
+    assert all(out[i].verdict == "block" and out[i].rule is None for i in range(455) if first(i) != "en")
+    assert all(out[i].verdict == ("block" if first(i) == "es" else "allow") for i in range(455, len(urls)))
+
+
 def test_url_filter_of_nothing_and_native(spark):
     from polyprov.llm.url_filter import url_filter
 
