@@ -8,10 +8,12 @@ its documents branch by their tokens there.  Nodes of up to ``leaf`` documents
 are compared exhaustively: first by one byte of each minwise token, which leaves
 groups of likely partners, then on the full sets.  Inside a group, documents that
 are already tied need no comparison, so a group of n copies costs about n
-comparisons and gives n - 1 links.  Larger nodes branch again; what is
-still large at ``levels`` is compared whole, by one task a node: it holds the
-members' sketches (some 150 bytes a row), reads full sets from mapped files, and
-goes on from the members tied last, so that a hub ties all of its own in one pass.
+comparisons and gives n - 1 links.  Larger nodes branch again; what is still
+large at ``levels`` is compared whole, in blocks of ``BLOCK_ROWS`` that are dealt over
+tasks: first each block in itself, going on from the members tied last, so that a
+hub ties all of its own in one pass; then each pair of blocks, but for members that
+are tied by then.  A task holds two blocks' sketches (some 150 bytes a row) and reads
+full sets from mapped files.
 
 With similarity 0.75 a pair meets in a tree with probability 0.81 (leaves of
 the first level) to 0.53 (of the fourth), so eight trees miss at most 0.3 % of such
@@ -27,6 +29,7 @@ kept.  An empty table gives no rows; other columns are ignored.
 from __future__ import annotations
 
 import hashlib
+import io
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -35,7 +38,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from polyprov.llm.common import Shared, by_ids, cut, fresh_folder, mix64, shingle_sets, text_steps
+from polyprov.llm.common import Shared, by_ids, cut, drop_folder, fresh_folder, mix64, shingle_sets, text_steps
 from polyprov.llm.components import components
 
 POSITIONS = 128
@@ -230,7 +233,7 @@ def _leaves(reps: DataFrame, trees: int, leaf: int, levels: int, seed: int) -> t
         if level < levels:
             keys = large.select("row", "key").join(reps.select("row", "sig"), "row").select("row", "sig", "key").mapInArrow(_grow(trees, seed), "key long, row long")
         else:
-            rest = large.select("key", "row").distinct()
+            rest = large.select("key", "row", "n").distinct()
     out = done[0]
     for d in done[1:]:
         out = out.union(d)
@@ -241,6 +244,9 @@ def _leaves(reps: DataFrame, trees: int, leaf: int, levels: int, seed: int) -> t
 SET_FILE = 1 << 22
 SKETCH_STEP = 1 << 16
 MAPPED_FILES = 256
+#: Rows of a block of a large node, and tasks for pairs of blocks at most.
+BLOCK_ROWS = 4096
+MOST_TASKS = 20_000
 
 
 def _store(uri: str):
@@ -292,48 +298,111 @@ def _tied(sizes: np.ndarray, sketches: np.ndarray, sets: Callable[[int], np.ndar
                 left = np.delete(left, hit)
 
 
-def _whole(uri: str, similarity: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """Nodes (key, doc_id, n_shingles, sketch, file, start) to links that tie all that belong together."""
-        shared, maps = Shared(uri), {}
+class _Sets:
+    """Full sets of a block's members, from mapped files."""
+
+    def __init__(self, shared: Shared):
+        self.shared, self.maps = shared, {}
+
+    def of(self, names: np.ndarray, which: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> Callable[[int], np.ndarray]:
+        def one(i: int) -> np.ndarray:
+            name = str(names[which[i]])
+            if name not in self.maps:
+                if len(self.maps) >= MAPPED_FILES:
+                    self.maps.clear()
+                self.maps[name] = np.asarray(self.shared.mapped(name, np.uint64))
+            return self.maps[name][starts[i] : starts[i] + sizes[i]]
 
-        def mapped(name: str) -> np.ndarray:
-            if name not in maps:
-                if len(maps) >= MAPPED_FILES:
-                    maps.clear()
-                maps[name] = np.asarray(shared.mapped(name, np.uint64))
-            return maps[name]
+        return one
 
+
+def _within_blocks(uri: str, similarity: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Blocks (part, key, block, doc_id, n_shingles, sketch, file, start) to links inside
+        them, and a row (key, block) for each, which is left in the shared folder."""
+        shared = Shared(uri)
+        sets = _Sets(shared)
         for part in _by_key(batches):
-            keys, ids, sizes, starts = (part.column(i).to_numpy() for i in (0, 1, 2, 5))
-            sketches, names = _matrix(part.column(3), np.uint8, POSITIONS), part.column(4).combine_chunks().dictionary_encode()
-            if isinstance(names, pa.ChunkedArray):
-                names = names.combine_chunks()
-            files, which = names.dictionary.to_pylist(), names.indices.to_numpy(zero_copy_only=False)
-            at = _bounds(keys)
+            parts, keys, blocks, ids, sizes, starts = (part.column(i).to_numpy() for i in (0, 1, 2, 3, 4, 7))
+            sketches, files = _matrix(part.column(5), np.uint8, POSITIONS), np.array(part.column(6).to_pylist())
+            at = _bounds(parts)
             for lo, hi in zip(at[:-1], at[1:], strict=True):
-                sets = lambda i, lo=lo: mapped(files[which[lo + i]])[starts[lo + i] : starts[lo + i] + sizes[lo + i]]
-                for i, js in _tied(sizes[lo:hi], sketches[lo:hi], sets, similarity):
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(js), ids[lo + i])), pa.array(ids[lo:hi][js])], ["a", "b"])
+                names, which = np.unique(files[lo:hi], return_inverse=True)
+                label, a, b = np.arange(hi - lo), [], []
+                for i, js in _tied(sizes[lo:hi], sketches[lo:hi], sets.of(names, which, starts[lo:hi], sizes[lo:hi]), similarity):
+                    label[js] = label[i]
+                    a.append(np.full(len(js), ids[lo + i]))
+                    b.append(ids[lo:hi][js])
+                held = io.BytesIO()
+                np.savez(held, ids=ids[lo:hi], sizes=sizes[lo:hi], starts=starts[lo:hi], sketches=sketches[lo:hi], names=names, which=which, label=label)
+                shared.write(f"block-{keys[lo]}-{blocks[lo]}", held.getvalue())
+                n = sum(map(len, a))
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(np.concatenate([*a, [0]]).astype(np.int64)), pa.array(np.concatenate([*b, [0]]).astype(np.int64)), pa.array([None] * n + [int(keys[lo])], pa.int64()), pa.array([None] * n + [int(blocks[lo])], pa.int64())],
+                    ["a", "b", "key", "block"],
+                )
+        shared.close()
+
+    return run
+
+
+def _between_blocks(uri: str, similarity: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Pairs of blocks (key, i, j) to links that tie what belongs together."""
+        shared = Shared(uri)
+        sets = _Sets(shared)
+        for batch in batches:
+            for key, i, j in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                with np.load(shared.path(f"block-{key}-{i}")) as x, np.load(shared.path(f"block-{key}-{j}")) as y:
+                    one, two = ({k: z[k] for k in z.files} for z in (x, y))
+                of_one, of_two = (sets.of(z["names"], z["which"], z["starts"], z["sizes"]) for z in (one, two))
+                # Groups of the first block, then those of the second.
+                mine, other, a, b = one["label"], two["label"] + len(one["label"]), [], []
+                for p in range(len(mine)):
+                    near = np.flatnonzero((other != mine[p]) & (100 * np.minimum(one["sizes"][p], two["sizes"]) >= similarity * np.maximum(one["sizes"][p], two["sizes"])))
+                    near = near[np.count_nonzero(two["sketches"][near] == one["sketches"][p], axis=1) >= SKETCH_LEAST]
+                    for k in range(0, len(near), 64):
+                        qs = near[k : k + 64]
+                        qs = qs[other[qs] != mine[p]]
+                        if not len(qs):
+                            continue
+                        both = _common(of_one(p), [of_two(q) for q in qs])
+                        for q in qs[100 * both >= similarity * (one["sizes"][p] + two["sizes"][qs] - both)]:
+                            if other[q] != mine[p]:
+                                a.append(one["ids"][p])
+                                b.append(two["ids"][q])
+                                old, new = other[q], mine[p]
+                                mine[mine == old], other[other == old] = new, new
+                yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+        shared.close()
 
     return run
 
 
-def _large_links(docs: DataFrame, reps: DataFrame, large: DataFrame, similarity: int) -> DataFrame:
+def _large_links(docs: DataFrame, reps: DataFrame, large: DataFrame, similarity: int, block_rows: int) -> DataFrame:
     """(a, b) doc_ids: confirmed links inside nodes of any size."""
-    uri = fresh_folder(docs.sparkSession, "near-sets")
+    spark = docs.sparkSession
+    uri = fresh_folder(spark, "near-sets")
     rows = cut(large.select("row").distinct().join(reps.select("row", "doc_id", "n_shingles", "fp1", "fp2", "sketch"), "row"))
     wanted = cut(rows.select("doc_id").distinct())
     stored = cut(by_ids(docs.select("doc_id", "text"), wanted, "left_semi").mapInArrow(_store(uri), "fp1 long, fp2 long, file string, start long"))
     places = stored.groupBy("fp1", "fp2").agg(F.min(F.struct("file", "start")).alias("at"))
     placed = rows.join(places, ["fp1", "fp2"]).select("row", "doc_id", "n_shingles", "sketch", "at.file", "at.start")
-    nodes = large.join(placed, "row").select("key", "doc_id", "n_shingles", "sketch", "file", "start")
-    out = cut(nodes.repartition("key").sortWithinPartitions("key", "doc_id").mapInArrow(_whole(uri, similarity), "a long, b long"))
-    Shared(uri).remove([r.file for r in stored.select("file").distinct().collect()])
+    block = F.pmod(F.xxhash64("row"), F.ceil(F.col("n") / block_rows))
+    dealt = large.withColumn("block", block).withColumn("part", F.xxhash64("key", "block")).join(placed, "row").select("part", "key", "block", "doc_id", "n_shingles", "sketch", "file", "start")
+    first = cut(dealt.repartition("part").sortWithinPartitions("part", "doc_id").mapInArrow(_within_blocks(uri, similarity), "a long, b long, key long, block long"))
+    blocks = first.where("key is not null").select("key", "block")
+    pairs = blocks.where("block > 0").select("key", F.col("block").alias("j"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("block") - 1)).alias("i"))
+    jobs = cut(pairs.join(blocks.withColumnRenamed("block", "i"), ["key", "i"]).select("key", "i", "j"))
+    out = first.where("key is null").select("a", "b")
+    n = jobs.count()
+    if n:
+        out = out.union(cut(jobs.repartition(min(n, MOST_TASKS)).mapInArrow(_between_blocks(uri, similarity), "a long, b long")))
+    drop_folder(spark, uri)
     return out
 
 
-def links(docs: DataFrame, base: DataFrame, trees: int = TREES, leaf: int = LEAF, levels: int = LEVELS, similarity: int = 75, seed: int = SEED) -> DataFrame:
+def links(docs: DataFrame, base: DataFrame, trees: int = TREES, leaf: int = LEAF, levels: int = LEVELS, similarity: int = 75, seed: int = SEED, block_rows: int = BLOCK_ROWS) -> DataFrame:
     """(a, b) doc_ids: confirmed links that tie every group of near copies."""
     firsts = base.where("n_shingles > 0 and doc_id is not null").groupBy("fp1", "fp2").agg(F.min_by("row", "doc_id").alias("row"))
     reps = cut(base.join(firsts.select("row"), "row").select("row", "doc_id", "n_shingles", "fp1", "fp2", "sig", "sketch"))
@@ -350,7 +419,7 @@ def links(docs: DataFrame, base: DataFrame, trees: int = TREES, leaf: int = LEAF
         members.join(sets, ["fp1", "fp2"]).select("gid", "doc_id", "shingles").repartition("gid").sortWithinPartitions("gid", "doc_id")
         .mapInArrow(_confirm(similarity), "a long, b long")
     )
-    return confirmed if large is None else confirmed.union(_large_links(docs, reps, large, similarity))
+    return confirmed if large is None else confirmed.union(_large_links(docs, reps, large, similarity, block_rows))
 
 
 def _with_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -370,7 +439,7 @@ def _with_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield flush(sets)
 
 
-def near_duplicates(docs: DataFrame, trees: int = TREES, leaf: int = LEAF, levels: int = LEVELS, similarity: int = 75, seed: int = SEED) -> DataFrame:
+def near_duplicates(docs: DataFrame, trees: int = TREES, leaf: int = LEAF, levels: int = LEVELS, similarity: int = 75, seed: int = SEED, block_rows: int = BLOCK_ROWS) -> DataFrame:
     """doc_id, n_shingles, component_id, kept of each row.
 
     The filters before the confirmation are made for a ``similarity`` of 75 %;
@@ -380,7 +449,7 @@ def near_duplicates(docs: DataFrame, trees: int = TREES, leaf: int = LEAF, level
         raise ValueError("the similarity is 75 or more")
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     base = cut(docs.mapInArrow(_sign, "doc_id long, n_shingles long, fp1 long, fp2 long, sig binary, sketch binary").withColumn("row", F.monotonically_increasing_id()))
-    confirmed = links(docs, base, trees, leaf, levels, similarity, seed)
+    confirmed = links(docs, base, trees, leaf, levels, similarity, seed, block_rows)
     slim = base.select("doc_id", "n_shingles", "fp1", "fp2", "row")
     twins = slim.where("n_shingles > 0 and doc_id is not null")
     firsts = twins.groupBy("fp1", "fp2").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first < last").select("fp1", "fp2", "first")

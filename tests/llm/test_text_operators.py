@@ -273,20 +273,45 @@ def group(base, n, edits, seed=0):
     return out
 
 
-@pytest.mark.parametrize(("leaf", "levels"), [(1000, 4), (6, 2)])
-def test_near_copies_equal_brute_force(spark, leaf, levels):
-    """Also with tiny leaves, where large nodes branch on and are dealt."""
+@pytest.mark.parametrize(("leaf", "levels", "block_rows"), [(1000, 4, 4096), (6, 2, 4096), (6, 2, 7)])
+def test_near_copies_equal_brute_force(spark, leaf, levels, block_rows):
+    """Also with tiny leaves, where large nodes branch on and are compared by blocks."""
     from polyprov.llm.near_dup import near_duplicates
 
     shared = "this passage of many words is in many texts and ties none of them " * 2
     texts = ODD * 2 + group("a", 30, 1) + group("b", 12, 2, 1) + [shared + " ".join(f"q{i}w{k}" for k in range(60)) for i in range(25)]
-    got = {r.doc_id: r for r in near_duplicates(docs(spark, texts), leaf=leaf, levels=levels, trees=8).collect()}
+    got = {r.doc_id: r for r in near_duplicates(docs(spark, texts), leaf=leaf, levels=levels, trees=8, block_rows=block_rows).collect()}
     want = brute_components(list(enumerate(texts)))
     assert {i: r.component_id for i, r in got.items()} == want
     assert all(r.kept == (r.component_id == i) for i, r in got.items())
     assert got[0].n_shingles == 0 and got[3].n_shingles == 1
 
 
+def test_near_copies_of_templated_texts(spark):
+    """Texts put together from few common passages: nothing of their own tells them apart."""
+    from polyprov.llm.near_dup import near_duplicates
+
+    rng = np.random.default_rng(11)
+    passages = [" ".join(f"p{b}w{k}" for k in range(24)) for b in range(14)]
+    texts = [" ".join(passages[b] for b in rng.choice(14, 5, replace=False)) for _ in range(420)]
+    sets = [{tuple(w[k : k + 5]) for k in range(len(w) - 4)} for w in (t.split() for t in texts)]
+    root = list(range(len(texts)))
+
+    def top(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for i in range(len(texts)):
+        for j in range(i):
+            both = len(sets[i] & sets[j])
+            if 100 * both >= 75 * (len(sets[i]) + len(sets[j]) - both):
+                a, b = sorted((top(i), top(j)))
+                root[b] = a
+    got = {r.doc_id: r.component_id for r in near_duplicates(docs(spark, texts), leaf=12, levels=4, block_rows=64).collect()}
+    assert got == {i: top(i) for i in range(len(texts))}
+
+
 def test_near_copies_of_a_large_star(spark):
     """Variants of one text, tied to it and not to one another, in nodes far above the leaf."""
     from polyprov.llm.near_dup import near_duplicates
@@ -298,7 +323,7 @@ def test_near_copies_of_a_large_star(spark):
     near = lambda a, b: 100 * len(a & b) >= 75 * len(a | b)
     assert all(near(s, sets[2000]) for s in sets[:-1])
     assert sum(near(sets[k], sets[k + 1]) for k in range(1999)) < 50
-    got = {r.doc_id: r.component_id for r in near_duplicates(docs(spark, texts), leaf=100, levels=2, trees=16).collect()}
+    got = {r.doc_id: r.component_id for r in near_duplicates(docs(spark, texts), leaf=100, levels=2, trees=16, block_rows=450).collect()}
     assert got == {i: 0 for i in range(3001)} | {3001: 3001}
 
 
