@@ -5,19 +5,19 @@ A store is a folder with ``data/`` (immutable Parquet shards) and
 form a run; when ``fanout`` runs are of similar size (within 0.5 and 1.5 of their
 mean), they are merged into one run of target-sized files.  Each change is one new
 manifest, put in place by a rename that fails if that version exists: a reader
-sees a whole version or the one before, and of two writers one has to start
-again.  ``vacuum`` removes older versions and the shards that only they name.
+sees a whole version or the one before, and of two writers one commits anew on
+top of the other.  Groups that are due together are merged side by side.  ``vacuum`` removes older versions and the shards that only they name.
 
 Rows are kept as they are, repeated ones and nulls included, with all their
-columns whatever their names.  A null doc_id belongs to a fixed arrival.  An
-empty table gives a store with a manifest and no shard, whose rows are none.
+columns whatever their names; texts of any length stay whole.  Ties in size fall to
+the older run.  A null doc_id belongs to a fixed arrival.  An empty table gives a store with a manifest and no shard, whose rows are none.
 """
 
 from __future__ import annotations
 
 import json
-import math
 import uuid
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import asdict, dataclass
 
 from pyspark.sql import DataFrame, SparkSession
@@ -27,7 +27,13 @@ from polyprov.llm.common import fresh_folder
 
 TARGET_BYTES = 128 << 20
 FANOUT = 4
+#: Arrivals: 16 or more, of some 64 MB, and not so many that their commits take the time.
 ARRIVALS = 16
+ARRIVAL_BYTES = 64 << 20
+MOST_ARRIVALS = 1024
+#: Merges that run side by side, and commits tried against other writers.
+MERGES_AT_ONCE = 8
+COMMITS_TRIED = 20
 SEED = 23
 
 
@@ -60,21 +66,31 @@ class Manifest:
         return Manifest(x["version"], x["next_run"], tuple(Run(r["id"], tuple(r["files"]), r["bytes"], r["tier"]) for r in x["runs"]))
 
 
-def due(runs: tuple[Run, ...], fanout: int, target: int) -> tuple[Run, ...]:
-    """The first group of similarly sized runs that is large enough to merge.
+def all_due(runs: tuple[Run, ...], fanout: int, target: int) -> list[tuple[Run, ...]]:
+    """Groups of similarly sized runs (by size, then age) that are large enough to merge.
 
-    Runs whose files have all reached the target size are left alone.
+    A run belongs to one group; groups hold at most twice ``fanout`` runs.  Runs whose
+    files have all reached the target size are left alone.
     """
     open_runs = sorted((r for r in runs if r.bytes < target * max(1, len(r.files))), key=lambda r: (r.bytes, r.id))
-    group: list[Run] = []
+    groups: list[list[Run]] = []
     for r in open_runs:
-        mean = sum(x.bytes for x in group) / len(group) if group else r.bytes
-        if group and not 0.5 * mean <= r.bytes <= 1.5 * mean:
-            if len(group) >= fanout:
-                break
-            group = []
-        group.append(r)
-    return tuple(group) if len(group) >= fanout else ()
+        mean = sum(x.bytes for x in groups[-1]) / len(groups[-1]) if groups else 0
+        if not groups or len(groups[-1]) >= 2 * fanout or not 0.5 * mean <= r.bytes <= 1.5 * mean:
+            groups.append([])
+        groups[-1].append(r)
+    return [tuple(part) for g in groups for part in _halves(g, fanout) if len(part) >= fanout]
+
+
+def _halves(group: list[Run], fanout: int) -> list[list[Run]]:
+    """A full group as two of ``fanout`` each, so that merges have one size."""
+    return [group[:fanout], group[fanout:]] if len(group) == 2 * fanout else [group]
+
+
+def due(runs: tuple[Run, ...], fanout: int, target: int) -> tuple[Run, ...]:
+    """The first group of ``all_due``."""
+    groups = all_due(runs, fanout, target)
+    return groups[0] if groups else ()
 
 
 class Store:
@@ -129,34 +145,59 @@ class Store:
         found = [(s.getPath().getName(), s.getLen()) for s in self.fs.listStatus(path)]
         return sorted((f"{below}/{n}", size) for n, size in found if n.endswith(".parquet"))
 
-    def _added(self, now: Manifest, folder: str, tier: int, gone: tuple[Run, ...] = ()) -> Manifest:
+    def _added(self, folder: str, tier: int, gone: tuple[Run, ...] = ()) -> Manifest:
+        """Commit a folder's shards in place of ``gone``; anew where another writer was first.
+
+        Where that writer has removed one of ``gone``, the rows are merged already: the
+        folder goes, and its version stands.
+        """
         files = self._files(folder)
-        kept = tuple(r for r in now.runs if r not in gone)
-        new = (Run(now.next_run, tuple(f for f, _ in files), sum(s for _, s in files), tier),) if files else ()
-        return self.commit(Manifest(now.version + 1, now.next_run + 1, kept + new))
+        for _ in range(COMMITS_TRIED):
+            now = self.manifest()
+            if not set(gone) <= set(now.runs):
+                self.fs.delete(self._path(f"data/{folder}"), True)
+                return now
+            kept = tuple(r for r in now.runs if r not in gone)
+            new = (Run(now.next_run, tuple(f for f, _ in files), sum(s for _, s in files), tier),) if files else ()
+            try:
+                return self.commit(Manifest(now.version + 1, now.next_run + 1, kept + new))
+            except VersionTaken:
+                continue
+        self.fs.delete(self._path(f"data/{folder}"), True)
+        raise VersionTaken(now.version + 1)
 
     def append(self, rows: DataFrame) -> Manifest:
         """One arrival: small shards as they come, no shuffle."""
         folder = f"run-{uuid.uuid4().hex}"
         rows.write.parquet(f"{self.folder}/data/{folder}")
-        return self._added(self.manifest(), folder, 0)
+        return self._added(folder, 0)
 
     def append_all(self, rows: DataFrame, arrival, n: int):
         """Several arrivals in one pass over ``rows``; yields a manifest after each."""
         column, load = f"_arrival_{uuid.uuid4().hex[:8]}", f"load-{uuid.uuid4().hex}"
         rows.withColumn(column, arrival).write.partitionBy(column).parquet(f"{self.folder}/data/{load}")
         for i in range(n):
-            yield self._added(self.manifest(), f"{load}/{column}={i}", 0)
-
-    def compact(self) -> Manifest:
-        """Merge until no group of runs is due."""
-        now = self.manifest()
-        while group := due(now.runs, self.fanout, self.target):
-            folder = f"run-{uuid.uuid4().hex}"
-            files = max(1, round(sum(r.bytes for r in group) / self.target))
-            self._rows(group).coalesce(files).write.parquet(f"{self.folder}/data/{folder}")
-            now = self._added(now, folder, 1 + max(r.tier for r in group), group)
-        return now
+            yield self._added(f"{load}/{column}={i}", 0)
+
+    def compact(self, vacuum: bool = False) -> Manifest:
+        """Merge until no group of runs is due; groups that are due together are merged at once.
+
+        ``vacuum`` lets go of merged runs between the rounds.
+        """
+        while groups := all_due(self.manifest().runs, self.fanout, self.target):
+            with ThreadPoolExecutor(MERGES_AT_ONCE) as pool:
+                folders = list(pool.map(self._merge, groups))
+            for group, folder in zip(groups, folders, strict=True):
+                self._added(folder, 1 + max(r.tier for r in group), group)
+            if vacuum:
+                self.vacuum()
+        return self.manifest()
+
+    def _merge(self, group: tuple[Run, ...]) -> str:
+        folder = f"run-{uuid.uuid4().hex}"
+        files = max(1, round(sum(r.bytes for r in group) / self.target))
+        self._rows(group).coalesce(files).write.parquet(f"{self.folder}/data/{folder}")
+        return folder
 
     def _rows(self, runs) -> DataFrame:
         # The folders' column=value names tell of arrivals only: each file is read by its own path.
@@ -187,13 +228,21 @@ def arrivals(doc_id, n: int = ARRIVALS, seed: int = SEED):
     return F.pmod(F.xxhash64(F.lit(seed), doc_id), F.lit(n)).cast("int")
 
 
-def compacted(docs: DataFrame, folder: str | None = None, n_arrivals: int = ARRIVALS, target_bytes: int = TARGET_BYTES, fanout: int = FANOUT) -> Store:
-    """Append ``docs`` as ``n_arrivals`` arrivals, merging whenever runs are due."""
+def arrivals_for(docs: DataFrame) -> int:
+    """So many arrivals that one holds about ``ARRIVAL_BYTES``, as far as the plan knows the size."""
+    known = int(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+    return max(ARRIVALS, min(MOST_ARRIVALS, known // ARRIVAL_BYTES))
+
+
+def compacted(docs: DataFrame, folder: str | None = None, n_arrivals: int | None = None, target_bytes: int = TARGET_BYTES, fanout: int = FANOUT) -> Store:
+    """Append ``docs`` as ``n_arrivals`` arrivals, then merge what is due."""
     spark = docs.sparkSession
     store = Store(spark, folder or fresh_folder(spark, "shards"), target_bytes, fanout)
-    for _ in store.append_all(docs, arrivals(F.col("doc_id"), n_arrivals), n_arrivals):
-        store.compact()
-        store.vacuum()
+    n = n_arrivals or arrivals_for(docs)
+    for _ in store.append_all(docs, arrivals(F.col("doc_id"), n), n):
+        pass
+    store.compact(vacuum=True)
+    store.vacuum()
     return store
 
 

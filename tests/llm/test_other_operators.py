@@ -371,6 +371,45 @@ def test_store_edges(spark, tmp_path):
     assert sorted(r.id for r in due(runs, 4, 10**6)) == [0, 1, 2, 3] and due(runs, 5, 10**6) == () and due(runs, 4, 80) == ()
 
 
+def test_store_writers_side_by_side(spark, tmp_path):
+    """Appends that race commit one after the other; a merge of runs that are gone leaves nothing."""
+    from concurrent.futures import ThreadPoolExecutor
+
+    from polyprov.llm.shards import Store
+
+    docs, folder = table(spark, SF, "documents"), f"file://{tmp_path}/race"
+    with ThreadPoolExecutor(6) as pool:
+        list(pool.map(lambda i: Store(spark, folder).append(docs.where(f"doc_id % 6 = {i}").coalesce(1)), range(6)))
+    store = Store(spark, folder)
+    assert store.manifest().version == 6 and store.read().exceptAll(docs).count() == 0 and store.read().count() == docs.count()
+    runs = store.manifest().runs[:4]
+    folders = [store._merge(runs) for _ in range(2)]
+    store._added(folders[0], 1, runs)
+    after = store.manifest()
+    assert store._added(folders[1], 1, runs) == after and not store._files(folders[1])
+    assert store.read().exceptAll(docs).count() == 0 and store.read().count() == docs.count()
+
+
+def test_due_groups_are_disjoint_and_similar():
+    from polyprov.llm.shards import Run, all_due
+
+    rng = np.random.default_rng(4)
+    for _ in range(50):
+        runs = tuple(Run(i, ("f",), int(b), 0) for i, b in enumerate(rng.geometric(0.001, 40)))
+        groups = all_due(runs, 4, 10**9)
+        ids = [r.id for g in groups for r in g]
+        assert len(ids) == len(set(ids)) and all(4 <= len(g) <= 8 for g in groups)
+        assert all(max(r.bytes for r in g) <= 4 * min(r.bytes for r in g) for g in groups)
+
+
+def test_store_of_long_texts(spark, tmp_path):
+    from polyprov.llm.shards import compacted, placement
+
+    d = spark.createDataFrame([(1, "long " * 400_000), (2, ""), (3, None)], "doc_id long, text string")
+    out = {r.doc_id: r.n_bytes for r in placement(compacted(d, f"file://{tmp_path}/long"), d).collect()}
+    assert out == {1: 2_000_000, 2: 0, 3: 0}
+
+
 # ------------------------------------------------------------ pipeline and registry
 
 
