@@ -99,6 +99,8 @@ class Store:
         self.jvm, self.conf = spark._jvm, spark._jsc.hadoopConfiguration()
         self.root = self.jvm.org.apache.hadoop.fs.Path(self.folder)
         self.fs = self.root.getFileSystem(self.conf)
+        # Local folders: without checksum files, which do not move together with what they check.
+        self.plain = self.fs.getRawFileSystem() if self.fs.getClass().getSimpleName() == "LocalFileSystem" else self.fs
 
     # ------------------------------------------------------------ manifests
 
@@ -115,7 +117,7 @@ class Store:
         versions = self.versions()
         if version is None and not versions:
             return Manifest(0, 0, ())
-        stream = self.fs.open(self._path(f"manifest-{versions[-1] if version is None else version:010d}.json"))
+        stream = self.plain.open(self._path(f"manifest-{versions[-1] if version is None else version:010d}.json"))
         try:
             return Manifest.from_json(bytes(self.jvm.org.apache.commons.io.IOUtils.toByteArray(stream)).decode())
         finally:
@@ -123,7 +125,7 @@ class Store:
 
     def commit(self, manifest: Manifest) -> Manifest:
         temp, final = self._path(f".{uuid.uuid4().hex}.tmp"), self._path(f"manifest-{manifest.version:010d}.json")
-        out = self.fs.create(temp, False)
+        out = self.plain.create(temp, False)
         out.write(bytearray(manifest.to_json().encode()))
         out.close()
         options = self.spark.sparkContext._gateway.new_array(getattr(self.jvm.org.apache.hadoop.fs, "Options$Rename"), 0)
@@ -230,8 +232,9 @@ def arrivals(doc_id, n: int = ARRIVALS, seed: int = SEED):
 
 def arrivals_for(docs: DataFrame) -> int:
     """So many arrivals that one holds about ``ARRIVAL_BYTES``, as far as the plan knows the size."""
-    known = int(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
-    return max(ARRIVALS, min(MOST_ARRIVALS, known // ARRIVAL_BYTES))
+    known = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    # Spark's figure where it knows nothing is near the largest long.
+    return max(ARRIVALS, min(MOST_ARRIVALS, known // ARRIVAL_BYTES)) if known < 1 << 60 else ARRIVALS
 
 
 def compacted(docs: DataFrame, folder: str | None = None, n_arrivals: int | None = None, target_bytes: int = TARGET_BYTES, fanout: int = FANOUT) -> Store:
