@@ -48,6 +48,8 @@ class Annotator:
         self.policies, self.options = policies, options
         self.algebra = algebra or ALGEBRAS[options.algebra]
         self.ctes: dict[int, tuple[object, AnnotatedFrame]] = {}
+        #: The filter right above the aggregation that comes next.
+        self.having = None
 
     # ------------------------------------------------------------ dispatch
 
@@ -137,6 +139,7 @@ class Annotator:
         return replace(child, df=df.select("*", *cols) if cols else df, aggs=aggs)
 
     def on_Filter(self, plan, sub):
+        self.having = plan if cat.name_of(plan.child()) == "Aggregate" and self.lists and not self.options.symbolic else None
         af = self.node(plan.child(), sub)
         later = []
         for c in cat.conjuncts(plan.condition()):
@@ -248,11 +251,64 @@ class Annotator:
 
     # ------------------------------------------------------------ aggregation
 
+    @property
+    def lists(self) -> bool:
+        """Whether groups list their rows' annotations: it pays to drop rows before."""
+        return self.algebra.symbolic and self.algebra.recorder is None
+
+    def surviving(self, child: AnnotatedFrame, having, plan) -> AnnotatedFrame:
+        """Rows of the groups that pass the filter above, found on values alone.
+
+        Values shrink before their shuffle, lists of annotations do not: so those are
+        built for the groups that stay.
+        """
+        groups, named = cat.items(plan.groupingExpressions()), cat.items(plan.aggregateExpressions())
+        if not groups or cat.outer_in(having):
+            return child
+        # The same aggregation under names of its own, so that nothing above is taken for it.
+        values = {e.exprId().id(): (e, fresh("v")) for e in named if any(cat.name_of(x) == "AggregateExpression" for x in cat.walk(e))}
+        names = [fresh("k") for _ in groups]
+        plain = cat.frame(plan.child()).groupBy(*[cat.column(g).alias(n) for g, n in zip(groups, names, strict=True)]).agg(*[cat.column(e.child()).alias(n) for e, n in values.values()])
+        by = {a.name(): a for a in cat.output(plain)}
+        mine = {i: by[n] for i, (_, n) in values.items()}
+        for g, n in zip(groups, names, strict=True):
+            for e in named:
+                if (e.child() if cat.name_of(e) == "Alias" else e).semanticEquals(g):
+                    mine[e.exprId().id()] = by[n]
+        known, kept = {a.exprId().id() for a in cat.output(plain)}, None
+        for c in cat.conjuncts(having.condition()):
+            if not any(cat.name_of(e) in ("ScalarSubquery", "Exists", "InSubquery") for e in cat.walk(c)):
+                c = cat.transform(c, lambda e: mine.get(e.exprId().id()) if cat.name_of(e) == "AttributeReference" else None)
+                if cat.references(c) and cat.references(c) <= known:
+                    kept = (plain if kept is None else kept).where(cat.column(c))
+        if kept is None:
+            return child
+        kept = kept.select(*names)
+        same = None
+        for g, n in zip(groups, names, strict=True):
+            c = cat.column(g).eqNullSafe(F.col(n))
+            same = c if same is None else same & c
+        return child.with_df(child.df.join(kept, same, "left_semi"))
+
+    def restricted(self, inner: AnnotatedFrame, outer: DataFrame, pairs) -> AnnotatedFrame:
+        """Inner rows that some outer row asks for, where the outer side is filtered."""
+        if not pairs or not self.lists or not cat.filtered(outer):
+            return inner
+        asked = outer.select(*[o.alias(fresh("k")) for o, _ in pairs]).distinct()
+        same = None
+        for (_, i), n in zip(pairs, asked.columns, strict=True):
+            c = i == F.col(n)
+            same = c if same is None else same & c
+        return inner.with_df(inner.df.join(asked, same, "left_semi"))
+
     def on_Aggregate(self, plan, sub):
+        having, self.having = self.having, None
         child_plan = plan.child()
         expand = cat.name_of(child_plan) == "Expand"
         met = len(sub.conditions) if sub is not None else 0
         child = self.expanded(child_plan, sub) if expand else self.node(child_plan, sub)
+        if having is not None and not expand:
+            child = self.surviving(child, having, plan)
         groups, named = cat.items(plan.groupingExpressions()), cat.items(plan.aggregateExpressions())
         keys = [cat.column(g) for g in groups]
         extra = []
@@ -447,7 +503,7 @@ class Annotator:
         if keys:
             equal += [(o, F.col(k)) for o, k, _ in keys]
         if not other:
-            return exists_equal(outer, inner, equal)
+            return exists_equal(outer, self.restricted(inner, outer.df, equal), equal)
         domain = {}
         for c in other:
             for r in cat.walk(cat.without_outer(c)):
@@ -487,6 +543,7 @@ class Annotator:
         pairs = [self.equality(c, outer_ids) for c in mine]
         keys = []
         if all(pairs):
+            child = self.restricted(child, sub.outer.df, pairs)
             for o, i in pairs:
                 n = fresh("k")
                 child = child.with_df(child.df.withColumn(n, i))

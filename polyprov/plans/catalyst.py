@@ -7,6 +7,7 @@ tell columns apart and no name has to be guessed.
 
 from __future__ import annotations
 
+import re
 from collections.abc import Callable, Iterator
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -106,3 +107,21 @@ def or_zero(attribute):
 
 def option(o):
     return o.get() if o.isDefined() else None
+
+
+#: A comparison of two attributes, as plans print it.
+_OF_ATTRIBUTES = re.compile(r"isnotnull\([^()]*\)|[\w.`]+#\d+L? (?:=|<=>|<|<=|>|>=) [\w.`]+#\d+L?")
+
+
+def filtered(df: DataFrame) -> bool:
+    """Whether a filter of the plan compares with more than other attributes."""
+    for line in analyzed(df).toString().split("\n"):
+        at = line.find("Filter ")
+        if at >= 0 and re.search(r"[=<>]|\b(?:IN|LIKE|StartsWith|EndsWith|Contains)\b", _OF_ATTRIBUTES.sub("", line[at:])):
+            return True
+    return False
+
+
+def outer_in(plan) -> bool:
+    """Whether the plan reads from an outer query."""
+    return "outer(" in plan.toString()
