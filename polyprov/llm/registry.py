@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from polyprov.llm import oracles
 from polyprov.llm.common import table
 
 TOKENIZER = "piece_bpe_32k.model"
@@ -76,9 +77,20 @@ def op10_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return placement(compacted(docs), docs)
 
 
+def url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What the listed rules alone say, as far as SQL can express operator 3."""
+    return op3_url_filter(spark, sf_dir).select("page_id", "host", "path", "rule")
+
+
+def mix_targets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sizes and targets, as far as SQL can express operator 9."""
+    return op9_source_mix(spark, sf_dir).select("doc_id", "size", "source_size", "target")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_token_counts, op2_quality, op3_url_filter, op4_packing, op5_lm_score, op6_top_k, op7_near_vectors, op8_near_dup, op9_source_mix, op10_shards)}
+    own = (op1_token_counts, op2_quality, op3_url_filter, op4_packing, op5_lm_score, op6_top_k, op7_near_vectors, op8_near_dup, op9_source_mix, op10_shards)
+    return {f.__name__: f for f in (*own, url_rules, mix_targets)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op6_top_k": oracles.TOP_K, "op7_near_vectors": oracles.NEAR_VECTORS, "op8_near_dup": oracles.NEAR_DUP, "url_rules": oracles.URL_RULES, "mix_targets": oracles.MIX_TARGETS}

@@ -443,4 +443,20 @@ def test_pipeline_of_nothing(spark, tmp_path):
 def test_registry_names():
     from polyprov.llm import registry
 
-    assert sorted(int(n[2:].split("_")[0]) for n in registry.queries()) == list(range(1, 11))
+    assert sorted(int(n[2:].split("_")[0]) for n in registry.queries() if n.startswith("op")) == list(range(1, 11))
+    assert set(registry.oracle_sql()) <= set(registry.queries())
+
+
+@pytest.mark.parametrize("name", ["op6_top_k", "op7_near_vectors", "op8_near_dup", "url_rules", "mix_targets"])
+def test_queries_equal_their_sql(spark, name):
+    import duckdb
+
+    from polyprov.llm import registry
+
+    duck = duckdb.connect()
+    for t in ("documents", "embeddings", "pages"):
+        duck.execute(f"create view {t} as select * from '{SF}/{t}.parquet'")
+    found = duck.execute(registry.oracle_sql()[name])
+    columns = [c[0] for c in found.description]
+    got = registry.queries()[name](spark, SF).select(columns).collect()
+    assert sorted(map(tuple, got), key=str) == sorted(found.fetchall(), key=str)
