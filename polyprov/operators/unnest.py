@@ -43,14 +43,52 @@ def attach(outer: AnnotatedFrame, inner: AnnotatedFrame, condition: Column | Non
     return replace(outer, df=df, factors=outer.factors + inner.factors, aggs=outer.aggs | inner.aggs, caveats=outer.caveats + inner.caveats)
 
 
-def exists_equal(outer: AnnotatedFrame, inner: AnnotatedFrame, pairs: Sequence[tuple[Column, Column]]) -> AnnotatedFrame:
-    """EXISTS with equalities only: group the inner side by them, equi-join."""
-    grouped, names = grouped_inner(inner, [i for _, i in pairs])
+def exists_equal(outer: AnnotatedFrame, inner: AnnotatedFrame, pairs: Sequence[tuple]) -> AnnotatedFrame:
+    """EXISTS with equalities only: group the inner side by them, equi-join.
+
+    Pairs are (outer, inner) or (outer, inner, null-safe).
+    """
+    grouped, names = grouped_inner(inner, [p[1] for p in pairs])
+    return attach(outer, grouped, _same(pairs, names))
+
+
+def _same(pairs: Sequence[tuple], names: Sequence[str]) -> Column | None:
     condition = None
-    for (o, _), n in zip(pairs, names, strict=True):
-        c = o == F.col(n)
+    for p, n in zip(pairs, names, strict=True):
+        c = p[0].eqNullSafe(F.col(n)) if len(p) > 2 and p[2] else p[0] == F.col(n)
         condition = c if condition is None else condition & c
-    return attach(outer, grouped, condition)
+    return condition
+
+
+def either(outer: AnnotatedFrame, plain: Column | None, inners: Sequence[tuple[AnnotatedFrame, Sequence[tuple]]]) -> AnnotatedFrame:
+    """A disjunction of a plain condition and of EXISTS with equalities.
+
+    Rows that meet any part stay, times δ of the sum of the parts they meet: 1 for
+    the plain condition, δ of the inner rows for each EXISTS.
+    """
+    if not outer.algebra.symbolic or outer.algebra.recorder is not None:
+        raise UnsupportedForProvenance("the inner side of a disjunction needs text annotations")
+    parts = [] if plain is None else [F.when(plain, outer.algebra.one())]
+    for inner, pairs in inners:
+        grouped, names = grouped_inner(inner, [p[1] for p in pairs])
+        condition = _same(pairs, names)
+        outer = replace(outer, df=outer.df.join(grouped.df, F.lit(True) if condition is None else condition, "left"), caveats=outer.caveats + grouped.caveats)
+        parts.append(grouped.product()[0])
+    met = F.array_compact(F.array(*parts))
+    return outer.with_df(outer.df.where(F.size(met) > 0)).with_factor(F.concat(F.lit("δ("), F.array_join(met, " + "), F.lit(")")), Shape.DELTA)
+
+
+def subtracted(outer: AnnotatedFrame, inner: AnnotatedFrame, pairs: Sequence[tuple]) -> AnnotatedFrame:
+    """k ⊖ δ(Σ inner) (experimental): rows stay; the annotation tells what is subtracted."""
+    if not outer.algebra.symbolic or outer.algebra.recorder is not None:
+        raise UnsupportedForProvenance("monus needs text annotations")
+    grouped, names = grouped_inner(inner, [p[1] for p in pairs])
+    condition = _same(pairs, names)
+    outer = outer.one_factor()
+    (p, shape), (q, _) = outer.factors[0], grouped.factors[0]
+    minus = F.concat(F.lit("("), F.col(p), F.lit(" ⊖ "), F.col(q), F.lit(")"))
+    df = outer.df.join(grouped.df, F.lit(True) if condition is None else condition, "left").withColumn(p, F.when(F.col(q).isNull(), F.col(p)).otherwise(minus)).drop(q, *names)
+    return replace(outer, df=df, factors=((p, shape),)).noted("monus is experimental: it evaluates in counts and booleans only")
 
 
 def exists_domain(outer: AnnotatedFrame, inner: AnnotatedFrame, domain: Sequence[Column], condition: Column) -> AnnotatedFrame:
@@ -76,7 +114,10 @@ def _condition(conditions: Sequence[Condition]) -> Column:
 
 
 def exists(outer: AnnotatedFrame, inner: AnnotatedFrame, conditions: Sequence[Condition]) -> AnnotatedFrame:
-    if all(op == "=" for _, op, _ in conditions) and outer.options.exists_strategy == "auto":
+    strategy = outer.options.exists_strategy
+    if strategy == "prefix" and len(conditions) == 1 and conditions[0][1] in ("<", "<=", ">", ">="):
+        return prefix_exists(outer, inner, *conditions[0])
+    if all(op == "=" for _, op, _ in conditions) and strategy != "domain":
         return exists_equal(outer, inner, [(F.col(o), F.col(i)) for o, _, i in conditions])
     return exists_domain(outer, inner, [F.col(c) for c in dict.fromkeys(o for o, _, _ in conditions)], _condition(conditions))
 
@@ -97,12 +138,17 @@ def all_(outer: AnnotatedFrame, inner: AnnotatedFrame, a: str, op: str, b: str,
     Every inner annotation is kept, in the formal sum and as δ of their sum.  An empty
     inner side makes ALL true: such rows stay, times 1.  A null among the inner
     values makes the comparison unknown.  ``=`` needs minimum and maximum equal;
-    ``<>`` is NOT IN.
+    ``<>`` is NOT IN.  With a correlation other than equality the inner side is
+    grouped by the distinct outer values that it is met for.
     """
     if op == "<>":
         return not_in(outer, inner, [a], [b], conditions)
-    if any(c[1] != "=" for c in conditions):
-        raise UnsupportedForProvenance("ALL with a correlation other than equality")
+    safe = any(c[1] != "=" for c in conditions)
+    if safe:
+        domain = {c: fresh("o") for c in dict.fromkeys(o for o, _, _ in conditions)}
+        values = outer.df.select(*[F.col(c).alias(n) for c, n in domain.items()]).distinct()
+        inner = inner.with_df(values.join(inner.df, _condition([(domain[o], x, i) for o, x, i in conditions])))
+        conditions = [(c, "=", n) for c, n in domain.items()]
     keys = [i for _, _, i in conditions]
     bound, n, nulls = fresh("bound"), fresh("n"), fresh("nulls")
     monoid = "max" if op in (">", ">=", "=") else "min"
@@ -118,12 +164,12 @@ def all_(outer: AnnotatedFrame, inner: AnnotatedFrame, a: str, op: str, b: str,
     if keys:
         condition = None
         for o, _, i in conditions:
-            c = F.col(o) == F.col(i)
+            c = F.col(o).eqNullSafe(F.col(i)) if safe else F.col(o) == F.col(i)
             condition = c if condition is None else condition & c
         df = outer.df.join(grouped.df, condition, "left")
     else:
-        # One row: broadcast by its size.
-        df = outer.df.join(F.broadcast(grouped.df), F.lit(True), "left")
+        # One row, but of any size: its text lists the whole inner side.  No hint.
+        df = outer.df.join(grouped.df, F.lit(True), "left")
     algebra = outer.algebra
     fills = {c: F.coalesce(F.col(c), algebra.one()) for c, _ in grouped.factors}
     out = replace(outer, df=df.withColumns(fills), factors=outer.factors + grouped.factors, aggs=outer.aggs | grouped.aggs)
@@ -158,7 +204,7 @@ def scalar(outer: AnnotatedFrame, inner: AnnotatedFrame, a: str, op: str, spec:
     if spec.monoid == "count" and keys:
         out = outer_attach(outer, grouped, condition, spec.name)
     elif condition is None:
-        out = attach(outer, replace(grouped, df=F.broadcast(grouped.df)), None)
+        out = attach(outer, grouped, None)
     else:
         out = attach(outer, grouped, condition)
     return select_agg(out, a, op, spec.name)
@@ -204,17 +250,9 @@ def _negated(outer: AnnotatedFrame, inner: AnnotatedFrame, conditions: Sequence[
 
 def monus(outer: AnnotatedFrame, inner: AnnotatedFrame, conditions: Sequence[Condition]) -> AnnotatedFrame:
     """k ⊖ Σ inner (experimental): rows stay; the annotation tells what is subtracted."""
-    if not outer.algebra.symbolic or any(op != "=" for _, op, _ in conditions):
-        raise UnsupportedForProvenance("monus needs text annotations and equality conditions")
-    grouped, names = grouped_inner(inner, [F.col(i) for _, _, i in conditions])
-    condition = None
-    for (o, _, _), n in zip(conditions, names, strict=True):
-        c = F.col(o) == F.col(n)
-        condition = c if condition is None else condition & c
-    outer = outer.one_factor()
-    (p, _), (q, _) = outer.factors[0], grouped.factors[0]
-    df = outer.df.join(grouped.df, condition, "left").withColumn(p, F.when(F.col(q).isNull(), F.col(p)).otherwise(F.concat(F.lit("("), F.col(p), F.lit(" ⊖ "), F.col(q), F.lit(")")))).drop(q, *names)
-    return replace(outer, df=df, factors=((p, Shape.ATOM),)).noted("monus is experimental: it evaluates in counts and booleans only")
+    if any(op != "=" for _, op, _ in conditions):
+        raise UnsupportedForProvenance("monus needs equality conditions")
+    return subtracted(outer, inner, [(F.col(o), F.col(i)) for o, _, i in conditions])
 
 
 def intersect(left: AnnotatedFrame, right: AnnotatedFrame) -> AnnotatedFrame:

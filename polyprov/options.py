@@ -18,6 +18,11 @@ class Options:
     ``reagg_style``: *printed* leaves the scaling of a re-aggregation in the
     annotation, *evaluable* moves it into the value.
     ``negation``: what NOT IN / NOT EXISTS / EXCEPT do with the inner side.
+    ``exists_strategy``: *auto* joins on equalities, else through the distinct outer
+    values; *domain* always does the latter; *prefix* sums the inner side per distinct
+    value first where the condition is one order comparison.
+    ``limit_policy``: *value* chooses rows on original values (with a caveat),
+    *reject* refuses LIMIT.
     """
 
     mode: str = "valued"
@@ -30,12 +35,15 @@ class Options:
     value_scale: int = 4
     max_text_bytes: int = 64 << 20
     frame_prov: bool = False
+    limit_policy: str = "value"
 
     def __post_init__(self):
         if self.mode not in MODES or self.negation not in NEGATIONS:
             raise ValueError(f"unknown mode or negation: {self.mode}, {self.negation}")
-        if self.exists_strategy not in ("auto", "domain") or self.reagg_style not in ("printed", "evaluable"):
+        if self.exists_strategy not in ("auto", "domain", "prefix") or self.reagg_style not in ("printed", "evaluable"):
             raise ValueError("unknown strategy or style")
+        if self.limit_policy not in ("value", "reject"):
+            raise ValueError(f"unknown limit policy: {self.limit_policy}")
 
     @property
     def symbolic(self) -> bool:

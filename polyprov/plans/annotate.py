@@ -17,7 +17,7 @@ from polyprov.errors import UnsupportedForProvenance
 from polyprov.functions.algebra import ALGEBRAS, Algebra, Shape
 from polyprov.operators.basic import Formal, _grouped, annotate_base, empty_sum, grouped_sums, join, union_all
 from polyprov.operators.frame import Agg, AnnotatedFrame, constant, fresh, value_text
-from polyprov.operators.unnest import attach, except_, exists_domain, exists_equal, intersect
+from polyprov.operators.unnest import attach, either, except_, exists_domain, exists_equal, intersect, subtracted
 from polyprov.options import Options
 from polyprov.plans import catalyst as cat
 from polyprov.sources.tokens import TokenPolicy
@@ -63,6 +63,8 @@ class Annotator:
         if method is not None:
             return method(plan, sub)
         if kind in PASSED:
+            if kind in LIMITS and self.options.limit_policy == "reject":
+                raise UnsupportedForProvenance("LIMIT chooses rows on values that the annotation does not follow")
             child = self.node(plan.child(), sub)
             out = child.with_df(cat.frame(cat.rebuilt(plan, [cat.analyzed(child.df)])))
             if kind == "Window" and self.options.frame_prov:
@@ -294,10 +296,10 @@ class Annotator:
         """Inner rows that some outer row asks for, where the outer side is filtered."""
         if not pairs or not self.lists or not cat.filtered(outer):
             return inner
-        asked = outer.select(*[o.alias(fresh("k")) for o, _ in pairs]).distinct()
+        asked = outer.select(*[p[0].alias(fresh("k")) for p in pairs]).distinct()
         same = None
-        for (_, i), n in zip(pairs, asked.columns, strict=True):
-            c = i == F.col(n)
+        for p, n in zip(pairs, asked.columns, strict=True):
+            c = p[1].eqNullSafe(F.col(n)) if len(p) > 2 and p[2] else p[1] == F.col(n)
             same = c if same is None else same & c
         return inner.with_df(inner.df.join(asked, same, "left_semi"))
 
@@ -464,6 +466,14 @@ class Annotator:
             own = [cat.column(v) for v in cat.items(plan.output())[: len(values)]]
             return self.exists(af, inner, sub.conditions, sub.keys, list(zip(values, own, strict=True)))
         kinds = [cat.name_of(e) for e in cat.walk(c)]
+        if kind == "Not" and cat.name_of(c.child()) == "Exists" and self.options.negation == "monus":
+            inner, pairs = self.positive(af, c.child())
+            return subtracted(af, inner, pairs)
+        if kind == "Or" and "Not" not in kinds and {"Exists", "InSubquery"} & set(kinds) and self.lists and not cat.references(c) & af.aggs.keys():
+            try:
+                return self.disjunction(af, c)
+            except UnsupportedForProvenance:
+                pass  # as below: the outer rows are filtered
         if "Exists" in kinds or "InSubquery" in kinds:
             # Negated, or under OR: the outer rows are filtered, the inner side is not annotated.
             if self.options.negation == "reject":
@@ -479,6 +489,37 @@ class Annotator:
         # The subquery's value serves the comparison only: it is no column of the relation.
         return self.without_aggs(self.compared(af, c), own)
 
+    def positive(self, af: AnnotatedFrame, c) -> tuple[AnnotatedFrame, list[tuple]]:
+        """The annotated inner side of EXISTS or IN, and its equalities with the outer side."""
+        sub = Subquery(af)
+        if cat.name_of(c) == "Exists":
+            inner, pairs = self.node(c.plan(), sub), []
+        else:
+            plan = c.query().plan()
+            inner = self.node(plan, sub)
+            values = [cat.column(v) for v in cat.items(c.values())]
+            pairs = list(zip(values, [cat.column(v) for v in cat.items(plan.output())[: len(values)]], strict=True))
+        outer_ids = {a.exprId().id() for a in cat.output(af.df)}
+        for x in sub.conditions:
+            pair = self.equality(x, outer_ids)
+            if pair is None:
+                raise UnsupportedForProvenance("a correlation other than equality here")
+            pairs.append(pair)
+        return inner, [*pairs, *((o, F.col(k), safe) for o, k, safe in sub.keys)]
+
+    def disjunction(self, af: AnnotatedFrame, c) -> AnnotatedFrame:
+        parts, plain, inners = [c], None, []
+        while any(cat.name_of(p) == "Or" for p in parts):
+            parts = [x for p in parts for x in ((p.left(), p.right()) if cat.name_of(p) == "Or" else (p,))]
+        for p in parts:
+            if cat.name_of(p) in ("Exists", "InSubquery"):
+                inners.append(self.positive(af, p))
+            elif any(cat.name_of(e) in ("Exists", "InSubquery", "ScalarSubquery") for e in cat.walk(p)):
+                raise UnsupportedForProvenance("a subquery within a part of a disjunction")
+            else:
+                plain = cat.column(p) if plain is None else plain | cat.column(p)
+        return either(af, plain, inners)
+
     def without_aggs(self, af: AnnotatedFrame, kept: set[int]) -> AnnotatedFrame:
         gone = [a.tensor for i, a in af.aggs.items() if i not in kept]
         return replace(af, df=af.df.drop(*gone), aggs={i: a for i, a in af.aggs.items() if i in kept})
@@ -496,12 +537,12 @@ class Annotator:
         outer_ids = {a.exprId().id() for a in cat.output(outer.df)}
         for c in conditions:
             pair = self.equality(c, outer_ids)
-            if pair and self.options.exists_strategy == "auto":
+            if pair and self.options.exists_strategy != "domain":
                 equal.append(pair)
             else:
                 other.append(c)
         if keys:
-            equal += [(o, F.col(k)) for o, k, _ in keys]
+            equal += [(o, F.col(k), safe) for o, k, safe in keys]
         if not other:
             return exists_equal(outer, self.restricted(inner, outer.df, equal), equal)
         domain = {}
@@ -516,11 +557,11 @@ class Annotator:
         # Equalities take part through columns of the outer side.
         named = outer.df
         added = []
-        for o, i in equal:
+        for o, i, *safe in equal:
             n = fresh("o")
             named = named.withColumn(n, o)
             added.append(n)
-            condition = condition & (F.col(n) == i)
+            condition = condition & (F.col(n).eqNullSafe(i) if any(safe) else F.col(n) == i)
         out = exists_domain(outer.with_df(named), inner, [*domain.values(), *map(F.col, added)], condition)
         return out.with_df(out.df.drop(*added))
 

@@ -183,6 +183,17 @@ sql("not_in_filter", "SELECT n_name FROM nation WHERE n_nationkey NOT IN (SELECT
 sql("not_exists_filter", "SELECT n_name FROM nation WHERE NOT EXISTS (SELECT * FROM supplier WHERE s_nationkey = n_nationkey AND s_acctbal < 0)",
     f"SELECT n_name, {N} AS prov FROM nation WHERE NOT EXISTS (SELECT * FROM supplier WHERE s_nationkey = n_nationkey AND s_acctbal < 0)")
 
+sql("exists_under_or", "SELECT s_name FROM supplier WHERE s_acctbal > 9000 OR EXISTS (SELECT * FROM nation WHERE n_nationkey = s_nationkey AND n_regionkey = 3)",
+    f"""SELECT s_name, {S} || ' · δ(' || concat_ws(' + ', CASE WHEN s_acctbal > 9000 THEN '1' END, CASE WHEN n_regionkey = 3 THEN 'δ(' || {N} || ')' END) || ')' AS prov
+        FROM supplier JOIN nation ON n_nationkey = s_nationkey WHERE s_acctbal > 9000 OR n_regionkey = 3""")
+sql("in_under_or", "SELECT n_name FROM nation WHERE n_nationkey IN (SELECT s_nationkey FROM supplier WHERE s_acctbal < 0) OR n_regionkey = 1 OR n_nationkey IN (SELECT c_nationkey FROM customer WHERE c_acctbal > 9900)",
+    f"""SELECT n_name, {N} || ' · δ(' || concat_ws(' + ', CASE WHEN n_regionkey = 1 THEN '1' END, p, q) || ')' AS prov FROM nation
+        LEFT JOIN (SELECT s_nationkey AS i, {o.delta(S)} AS p FROM supplier WHERE s_acctbal < 0 GROUP BY 1) ON i = n_nationkey
+        LEFT JOIN (SELECT c_nationkey AS j, {o.delta(C)} AS q FROM customer WHERE c_acctbal > 9900 GROUP BY 1) ON j = n_nationkey WHERE n_regionkey = 1 OR p IS NOT NULL OR q IS NOT NULL""")
+sql("not_exists_monus", "SELECT c_custkey FROM customer WHERE NOT EXISTS (SELECT * FROM orders WHERE o_custkey = c_custkey AND o_orderstatus = 'P' AND o_orderpriority = '1-URGENT')",
+    f"""SELECT c_custkey, CASE WHEN q IS NULL THEN {C} ELSE '(' || {C} || ' ⊖ ' || q || ')' END AS prov FROM customer
+        LEFT JOIN (SELECT o_custkey AS k, {o.delta(O)} AS q FROM orders WHERE o_orderstatus = 'P' AND o_orderpriority = '1-URGENT' GROUP BY 1) ON k = c_custkey""", negation="monus")
+
 
 def _builder(name: str, rule: Callable, oracle: str) -> None:
     """ANY and ALL have no SQL form in Spark: the builder's rules."""
@@ -209,6 +220,14 @@ def _register_builders() -> None:
     for name, op, agg in (("all_gt", ">", "max"), ("all_lt", "<", "min")):
         _builder(name, lambda x, y, z, op=op: unnest.all_(x, y, "s_acctbal", op, "b"),
             f"SELECT s_name, {S} || ' · ' || p || ' · [1⊗' || {o.text('s_acctbal')} || ' {op} ' || t || ']' AS prov FROM supplier, (SELECT {agg}(c_acctbal) AS v, {o.formal(C, o.text('c_acctbal'), agg)} AS t, {o.delta(C)} AS p FROM {inner}) WHERE s_acctbal {op} v")
+    _builder("any_gt_prefix", lambda x, y, z: unnest.prefix_exists(x, y, "s_acctbal", ">", "b"), gt)
+    held = f"(SELECT c_nationkey AS k, min(c_acctbal) AS lo, max(c_acctbal) AS hi, {{t}} AS t, {o.delta(C)} AS p FROM {inner} GROUP BY 1)"
+    _builder("all_eq", lambda x, y, z: unnest.all_(x, y, "s_nationkey", "=", "k", [("s_nationkey", "=", "k")]),
+        f"SELECT s_name, {S} || ' · ' || coalesce(p || ' · [1⊗' || s_nationkey || ' = ' || t || ']', '1 · 1') AS prov FROM supplier LEFT JOIN {held.format(t=o.formal(C, 'CAST(c_nationkey AS VARCHAR)', 'max'))} ON k = s_nationkey")
+    _builder("all_theta", lambda x, y, z: unnest.all_(x, y, "s_acctbal", ">", "b", [("s_nationkey", ">", "k")]),
+        f"""SELECT s_name, {S} || ' · ' || coalesce(p || ' · [1⊗' || {o.text('s_acctbal')} || ' > ' || t || ']', '1 · 1') AS prov FROM supplier
+            LEFT JOIN (SELECT d.s_nationkey AS k, max(c_acctbal) AS v, {o.formal(C, o.text('c_acctbal'), 'max')} AS t, {o.delta(C)} AS p FROM (SELECT DISTINCT s_nationkey FROM supplier) d, {inner} AND d.s_nationkey > c_nationkey GROUP BY 1) ON k = s_nationkey
+            WHERE v IS NULL OR s_acctbal > v""")
     _builder("all_empty", lambda x, y, z: unnest.all_(x, z, "s_acctbal", ">", "b"), f"SELECT s_name, {S} || ' · 1 · 1' AS prov FROM supplier")
 
 
