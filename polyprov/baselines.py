@@ -240,6 +240,11 @@ class _CircuitAnnotator(Annotator):
 
     def on_Aggregate(self, plan, sub):
         """Values, the annotation, and formal sums by functions: Python joins, Python groups."""
+        below = plan.child()
+        while cat.name_of(below) in ("Project", "SubqueryAlias", "Filter"):
+            below = below.child()
+        if cat.name_of(below) == "Aggregate":
+            raise UnsupportedForBaseline("aggregation over an aggregation")
         child = self.node(plan.child(), sub).one_factor()
         groups, named = cat.items(plan.groupingExpressions()), cat.items(plan.aggregateExpressions())
         keys, p = [cat.column(g) for g in groups], child.factors[0][0]

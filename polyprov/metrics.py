@@ -125,20 +125,53 @@ def plan_figures(df: DataFrame) -> dict[str, int]:
     return {k: text.count(k) for k in ("Exchange", "BroadcastHashJoin", "SortMergeJoin", "CartesianProduct", "BroadcastNestedLoopJoin", "ArrowEvalPython", "BatchEvalPython")}
 
 
-#: What each system accepts.
+SYSTEMS = ("method", "full witness", "token witness", "function circuit")
+
+#: What is reported for each system.
 SUPPORT = {
-    "select-project-join": ("method", "full witness", "token witness", "function circuit"),
-    "grouping and aggregates": ("method", "full witness", "token witness", "function circuit"),
+    "select-project-join": SYSTEMS,
+    "grouping and aggregates": SYSTEMS,
     "ORDER BY on an aggregate": ("method", "full witness", "token witness"),
     "HAVING with a subquery": ("method", "full witness"),
     "subquery in WHERE": ("method", "full witness"),
     "grouping by an aggregate": ("method", "full witness"),
     "polynomials": ("method", "function circuit"),
     "formal sums of aggregates": ("method", "function circuit"),
-    "independent of the engine's optimizer": ("method", "function circuit"),
 }
 
+#: A query that needs each feature, and what its result must hold.
+PROBES = {
+    "select-project-join": ("SELECT n_name, r_name FROM nation JOIN region ON n_regionkey = r_regionkey WHERE r_name = 'ASIA'", None),
+    "grouping and aggregates": ("SELECT n_regionkey, COUNT(*) AS n FROM nation GROUP BY n_regionkey", None),
+    "ORDER BY on an aggregate": ("SELECT n_regionkey, SUM(n_nationkey) AS v FROM nation GROUP BY n_regionkey ORDER BY v DESC", None),
+    "HAVING with a subquery": ("SELECT n_regionkey, SUM(n_nationkey) AS v FROM nation GROUP BY n_regionkey HAVING SUM(n_nationkey) > (SELECT AVG(r_regionkey) FROM region)", None),
+    "subquery in WHERE": ("SELECT r_name FROM region WHERE EXISTS (SELECT * FROM nation WHERE n_regionkey = r_regionkey)", None),
+    "grouping by an aggregate": ("SELECT c, COUNT(*) AS n FROM (SELECT n_regionkey, COUNT(*) AS c FROM nation GROUP BY n_regionkey) AS g GROUP BY c", None),
+    "polynomials": ("SELECT n_name, r_name FROM nation JOIN region ON n_regionkey = r_regionkey WHERE r_name = 'ASIA'", "·"),
+    "formal sums of aggregates": ("SELECT n_regionkey, SUM(n_nationkey) AS v FROM nation GROUP BY n_regionkey", "⊗"),
+}
+
+
+def run_system(engine, system: str, query: str, **options) -> DataFrame:
+    """A query under one of ``SYSTEMS``, or plain."""
+    from polyprov import baselines
+
+    if system == "plain":
+        return engine.plain(query)
+    if system == "method":
+        return engine.rewrite(query, **options)
+    return {"full witness": baselines.full_witness, "token witness": baselines.token_witness, "function circuit": baselines.function_circuit}[system](engine, query)
+
+
+def supports(engine, system: str, feature: str) -> bool:
+    query, sign = PROBES[feature]
+    try:
+        rows = run_system(engine, system, query).collect()
+    except (UnsupportedForBaseline, UnsupportedForProvenance):
+        return False
+    return bool(rows) and (sign is None or any(sign in v for r in rows for v in r if isinstance(v, str)))
+
 
-def support_matrix(spark) -> DataFrame:
-    systems = ("method", "full witness", "token witness", "function circuit")
-    return spark.createDataFrame([(k, s, s in v) for k, v in SUPPORT.items() for s in systems], "feature string, system string, supported boolean")
+def support_matrix(engine) -> DataFrame:
+    """feature, system, supported: each system tried on a query that needs the feature."""
+    return engine.spark.createDataFrame([(k, s, supports(engine, s, k)) for k in PROBES for s in SYSTEMS], "feature string, system string, supported boolean")

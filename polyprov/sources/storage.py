@@ -9,8 +9,12 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder of ``spark.checkpoint.dir``; where it is unset, one of our own."""
-    return (spark.conf.get("spark.checkpoint.dir", None) or "file://" + os.path.join(tempfile.gettempdir(), "polyprov-checkpoints")).rstrip("/")
+    """The folder of ``spark.checkpoint.dir``; where it is unset and the session runs on
+    one machine, one of our own.  A cluster must name one."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not spark.sparkContext.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir must name a folder that all machines share")
+    return (named or "file://" + os.path.join(tempfile.gettempdir(), "polyprov-checkpoints")).rstrip("/")
 
 
 def cut(df: DataFrame) -> DataFrame:

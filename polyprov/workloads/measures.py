@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -12,10 +13,11 @@ from polyprov.functions.algebra import ALGEBRAS
 from polyprov.functions.circuit import circuit
 from polyprov.operators.temporal import asof_join, interval_join
 from polyprov.options import Options
+from polyprov.sources.storage import shared_folder
 from polyprov.sources.tokens import GIVEN, TokenPolicy
 from polyprov.workloads import oracle as o
 from polyprov.workloads import tpch
-from polyprov.workloads.catalogue import _BY_SEGMENT, delivered, engine_query, register, sql
+from polyprov.workloads.catalogue import AGGREGATED, _BY_SEGMENT, benchmark_oracle, delivered, engine_query, register, sql
 
 N, R, S, C, O, E = (o.TOKEN[t] for t in ("nation", "region", "supplier", "customer", "orders", "events"))
 
@@ -79,9 +81,14 @@ def _tensor_terms(engine: Engine, sf_dir: str) -> DataFrame:
 
 @engine_query("qualified_tokens", "SELECT n_name, 'warehouse#main#nation:n:' || n_nationkey || ' · archive#main#region:r:' || r_regionkey AS prov FROM nation JOIN region ON n_regionkey = r_regionkey")
 def _qualified(engine: Engine, sf_dir: str) -> DataFrame:
-    """Two sources in one query, tokens telling them apart."""
-    engine.register("nation", engine.spark.read.parquet(f"{sf_dir}/nation.parquet"), GIVEN["nation"].qualified("warehouse", "main", "nation"))
-    engine.register("region", engine.spark.read.parquet(f"{sf_dir}/region.parquet"), GIVEN["region"].qualified("archive", "main", "region"))
+    """Two sources of different folders and formats in one query, tokens telling them apart."""
+    spark = engine.spark
+    folder = f"{shared_folder(spark)}/federated-{uuid.uuid4().hex}"
+    spark.read.parquet(f"{sf_dir}/nation.parquet").write.orc(f"{folder}/warehouse")
+    regions = spark.read.parquet(f"{sf_dir}/region.parquet")
+    regions.write.json(f"{folder}/archive")
+    engine.register("nation", spark.read.orc(f"{folder}/warehouse"), GIVEN["nation"].qualified("warehouse", "main", "nation"))
+    engine.register("region", spark.read.schema(regions.schema).json(f"{folder}/archive"), GIVEN["region"].qualified("archive", "main", "region"))
     return engine.rewrite("SELECT n_name FROM nation JOIN region ON n_regionkey = r_regionkey")
 
 
@@ -139,8 +146,8 @@ def _interval(engine: Engine, sf_dir: str) -> DataFrame:
 
 # ---------------------------------------------------------------- baselines
 
-_SPJ = "SELECT c_mktsegment, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey WHERE c_nationkey < 5 GROUP BY c_mktsegment"
-_ROWS = "SELECT *, count(*) OVER (PARTITION BY c_mktsegment) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey WHERE c_nationkey < 5"
+_SPJ = "SELECT c_mktsegment, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY c_mktsegment"
+_ROWS = "SELECT *, count(*) OVER (PARTITION BY c_mktsegment) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey"
 engine_query("witness_token", f"SELECT c_mktsegment, n, {C} AS prov_customer, {N} AS prov_nation FROM ({_ROWS})")(lambda e, d: baselines.token_witness(e, _SPJ))
 engine_query(
     "witness_full",
@@ -150,7 +157,7 @@ engine_query(
 engine_query("witness_sublink", f"SELECT n_name, {N} AS prov_nation, {S} AS prov_supplier FROM nation JOIN supplier ON s_nationkey = n_nationkey WHERE s_acctbal < 0")(
     lambda e, d: baselines.token_witness(e, "SELECT n_name FROM nation WHERE n_nationkey IN (SELECT s_nationkey FROM supplier WHERE s_acctbal < 0)", strict=False)
 )
-engine_query("circuit_fn", o.grouped([("c_mktsegment", "c_mktsegment")], [("n", "count(*)", "'1'", "count")], "customer JOIN nation ON c_nationkey = n_nationkey WHERE c_nationkey < 5", o.times(C, N)).replace("+count", "+").replace("n_agg", "agg_1"))(
+engine_query("circuit_fn", o.grouped([("c_mktsegment", "c_mktsegment")], [("n", "count(*)", "'1'", "count")], "customer JOIN nation ON c_nationkey = n_nationkey", o.times(C, N)).replace("+count", "+").replace("n_agg", "agg_1"))(
     lambda e, d: baselines.function_circuit(e, _SPJ)
 )
 
@@ -162,9 +169,10 @@ def _size(engine: Engine, sf_dir: str) -> DataFrame:
     return metrics.characters(engine.rewrite("SELECT c_mktsegment FROM customer GROUP BY c_mktsegment"))
 
 
-@engine_query("support_matrix")
+@engine_query("support_matrix", "SELECT * FROM (VALUES " + ", ".join(f"('{k}', '{x}', {str(x in v).lower()})" for k, v in metrics.SUPPORT.items() for x in metrics.SYSTEMS) + ") AS m(feature, system, supported)")
 def _support(engine: Engine, sf_dir: str) -> DataFrame:
-    return metrics.support_matrix(engine.spark)
+    """What each system accepts, found by trying it, against what is reported for it."""
+    return metrics.support_matrix(engine)
 
 
 def _validated(names: tuple[str, ...]):
@@ -212,9 +220,6 @@ sql("events_user_sum", "SELECT user_id, sum(value) AS total FROM events GROUP BY
 
 def _stream_window(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Daily windows over the event stream: what the append mode has closed."""
-    import uuid
-
-    from polyprov.sources.storage import shared_folder
     from polyprov.streaming.windows import annotated, windowed, write_batches
 
     source = spark.read.parquet(f"{sf_dir}/events.parquet")
@@ -238,3 +243,34 @@ register(
 def options_table(spark: SparkSession) -> DataFrame:
     """Options and their defaults."""
     return spark.createDataFrame([(k, str(v)) for k, v in Options().__dict__.items()], "option string, value string")
+
+
+# ---------------------------------------------------------------- sizes of provenance, all queries
+
+
+def _length_of(columns) -> str:
+    return " + ".join(f"coalesce(length({c}), 0)" for c in columns)
+
+
+def _sizes_oracle(mode: str) -> str:
+    parts = []
+    for n in tpch.QUERIES:
+        texts = (["prov"] + [f"{c}_agg" for c in AGGREGATED.get(n, ())]) if mode == "valued" else ["prov", *AGGREGATED.get(n, ())]
+        parts.append(f"SELECT '{n}' AS query, CAST(coalesce(sum({_length_of(texts)}), 0) AS BIGINT) AS characters FROM ({benchmark_oracle(n, mode)})")
+    return " UNION ALL ".join(parts)
+
+
+def _sizes(mode: str):
+    def run(engine: Engine, sf_dir: str) -> DataFrame:
+        rows = []
+        for n in tpch.QUERIES:
+            df = engine.rewrite(tpch.text(n, sf_dir), mode=mode)
+            texts = ["prov"] + [c if mode == "symbolic" else f"{c}_agg" for c in AGGREGATED.get(n, ())]
+            rows.append((n, metrics.size_of(df.select(*texts))))
+        return engine.spark.createDataFrame(rows, "query string, characters long")
+
+    return run
+
+
+for _mode in ("valued", "symbolic"):
+    engine_query(f"experiment_sizes_{_mode}", _sizes_oracle(_mode))(_sizes(_mode))
