@@ -7,8 +7,10 @@ the workers that score.
   the end of a text.  A word's id is its place in that order.
 * Level k holds the k-grams as sorted 64-bit keys, ``context * M + word``: the
   context is the place of the (k-1)-gram before the word, M the number of words
-  plus one.  So keys need no second hash, a context's grams lie side by side,
-  and a level is cut into files by ranges of contexts.
+  plus one.  So keys need no second hash, and a context's grams lie side by side.
+  A level is cut into files by ranges of keys that hold about equally many tokens,
+  as counted one level down: a frequent context is spread over several files, and
+  its sums are added up when they are read.
 * Workers count runs of texts with sorting, and send packed blocks (sorted
   differences, compressed) to the task that merges a range; nothing is gathered
   in one place.  The highest level keeps counts, lower levels keep the number of
@@ -52,6 +54,9 @@ GRAM_FILE_TOKENS = 4_000_000
 #: Text bytes of a step: larger ones share more look-ups in the arrays.
 TEXT_STEP = 1 << 20
 
+#: Files that a reader keeps mapped at once.
+MAPS = 8192
+
 #: Byte of a value that is listed beside the bytes.
 LISTED = 255
 
@@ -70,7 +75,7 @@ class Model:
     uri: str
     order: int
     tokens: int = 0
-    #: Per level: first id of each file (and the end), first context of each file, counts of counts, total, discounts.
+    #: Per level: first id of each file (and the end), least key of each file, discounts, totals.
     starts: dict[int, list[int]] = field(default_factory=dict)
     ranges: dict[int, list[int]] = field(default_factory=dict)
     discounts: dict[int, list[float]] = field(default_factory=dict)
@@ -154,10 +159,13 @@ class Reader:
         self.m, self.shared = model, Shared(model.uri)
         self.width = np.uint64(model.types + 1)
         self.arrays: dict[tuple[str, int, int], np.ndarray] = {}
+        self._spans: dict[int, tuple[np.ndarray, np.ndarray]] = {}
 
     def file(self, kind: str, level: int, shard: int, dtype) -> np.ndarray:
         found = self.arrays.get((kind, level, shard))
         if found is None:
+            if len(self.arrays) >= MAPS:
+                self.arrays.clear()
             found = self.arrays[kind, level, shard] = self.shared.mapped(f"{kind}{level}-{shard}", dtype)
         return found
 
@@ -166,18 +174,25 @@ class Reader:
         starts = self.m.starts[level]
         out = np.full(len(keys), starts[-1], np.int64)
         at = np.concatenate([[0], np.searchsorted(keys, self.cuts(level)), [len(keys)]])
-        for s in range(len(starts) - 1):
+        for s in np.flatnonzero(np.diff(at)).tolist():
             a, b = at[s], at[s + 1]
             n = starts[s + 1] - starts[s]
-            if b > a and n:
+            if n:
                 have = self.file("keys", level, s, np.uint64)
                 i = np.minimum(np.searchsorted(have, keys[a:b]), n - 1)
                 out[a:b] = np.where(have[i] == keys[a:b], i + starts[s], starts[-1])
         return out
 
     def cuts(self, level: int) -> np.ndarray:
-        bounds = np.array(self.m.ranges[level][1:], dtype=np.uint64)
-        return bounds if level == 1 else bounds * self.width
+        return np.array(self.m.ranges[level][1:], dtype=np.uint64)
+
+    def spans(self, level: int) -> tuple[np.ndarray, np.ndarray]:
+        """First context of each file of a level above 1, and the one after its last."""
+        if level not in self._spans:
+            least, width = np.array(self.m.ranges[level], np.uint64), self.width
+            above = np.append((least[1:] - np.uint64(1)) // width + np.uint64(1), np.uint64(self.m.starts[level - 1][-1] + 2))
+            self._spans[level] = (least // width).astype(np.int64), above.astype(np.int64)
+        return self._spans[level]
 
     def at(self, kind: str, level: int, ids: np.ndarray, dtype, bounds: list[int]) -> np.ndarray:
         """Values of ``kind`` at ids (any order); 0 beyond the last bound."""
@@ -185,42 +200,55 @@ class Reader:
         order = np.argsort(ids, kind="stable")
         ordered = ids[order]
         cut = np.searchsorted(ordered, bounds)
-        for s in range(len(bounds) - 1):
-            if cut[s + 1] > cut[s]:
-                have = self.file(kind, level, s, dtype)
-                if len(have):
-                    out[order[cut[s] : cut[s + 1]]] = have[ordered[cut[s] : cut[s + 1]] - bounds[s]]
+        for s in np.flatnonzero(np.diff(cut)).tolist():
+            have = self.file(kind, level, s, dtype)
+            if len(have):
+                out[order[cut[s] : cut[s + 1]]] = have[ordered[cut[s] : cut[s + 1]] - bounds[s]]
         return out
 
-    def listed(self, kind: str, level: int, ids: np.ndarray, bounds: list[int], width: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-        """(places in ids, their columns) of the values listed beside the bytes."""
-        shard = np.searchsorted(bounds, ids, side="right") - 1
-        for s in np.unique(shard):
-            of = np.flatnonzero(shard == s)
-            lists = self.file(kind, level, int(s), np.uint32).reshape(width, -1)
-            yield of, lists[1:, np.searchsorted(lists[0], (ids[of] - bounds[s]).astype(np.uint32))].astype(np.int64)
+    def listed(self, kind: str, level: int, places: np.ndarray, shard: int, width: int) -> np.ndarray:
+        """The columns of values listed beside a file's bytes."""
+        lists = self.file(kind, level, shard, np.uint32).reshape(width, -1)
+        return lists[1:, np.searchsorted(lists[0], places.astype(np.uint32))].astype(np.int64)
 
     def adjusted(self, level: int, ids: np.ndarray) -> np.ndarray:
         """Counts (of left neighbours below the highest level) of grams; 0 for unknown ones."""
-        bounds = self.m.starts[level]
+        bounds = np.array(self.m.starts[level])
         out = self.at("adj", level, ids, np.uint8, bounds).astype(np.int64)
         large = np.flatnonzero(out == LISTED)
-        for of, columns in self.listed("adjx", level, ids[large], bounds, 2):
-            out[large[of]] = columns[0]
+        shard = np.searchsorted(bounds, ids[large], side="right") - 1
+        for s in np.unique(shard):
+            of = large[shard == s]
+            out[of] = self.listed("adjx", level, ids[of] - bounds[s], int(s), 2)[0]
         return out
 
     def sums(self, level: int, contexts: np.ndarray) -> tuple[np.ndarray, list[np.ndarray]]:
-        """Sum of counts, and numbers of 1, 2, 3+, of contexts."""
-        bounds = [*self.m.ranges[level], self.m.starts[level - 1][-1] + 2]
-        code = self.at("sum", level, contexts, np.uint8, bounds).astype(np.int64)
-        numbers = [code % 16, code // 16, np.zeros(len(code), np.int64)]
-        total = numbers[0] + 2 * numbers[1]
-        large = np.flatnonzero(code == LISTED)
-        for of, columns in self.listed("sumx", level, contexts[large], bounds, 6):
-            total[large[of]] = columns[0] + (columns[1] << 32)
-            for n, column in zip(numbers, columns[2:], strict=True):
-                n[large[of]] = column
-        return total, numbers
+        """Sum of counts, and numbers of 1, 2, 3+, of contexts, over all files that hold grams of theirs."""
+        low, above = self.spans(level)
+        out = np.zeros((4, len(contexts)), np.int64)
+        at, last = np.searchsorted(above, contexts, side="right"), np.searchsorted(low, contexts, side="right") - 1
+        left = np.arange(len(contexts))
+        while len(left):
+            for s in np.unique(at[left]):
+                of = left[at[left] == s]
+                out[:, of] += self._sums_in(level, int(s), contexts[of] - low[s])
+            at[left] += 1
+            left = left[at[left] <= last[left]]
+        return out[0], list(out[1:])
+
+    def _sums_in(self, level: int, shard: int, places: np.ndarray) -> np.ndarray:
+        have = self.file("sum", level, shard, np.uint8)
+        out = np.zeros((4, len(places)), np.int64)
+        if len(have):
+            code = have[places].astype(np.int64)
+            out[1], out[2] = code % 16, code // 16
+            out[0] = out[1] + 2 * out[2]
+            large = np.flatnonzero(code == LISTED)
+            if len(large):
+                columns = self.listed("sumx", level, places[large], shard, 6)
+                out[0, large] = columns[0] + (columns[1] << 32)
+                out[1:, large] = columns[2:]
+        return out
 
     def known(self, level: int, keys: np.ndarray) -> np.ndarray:
         """Ids of keys in any order."""
@@ -261,7 +289,7 @@ def _contexts(ids: np.ndarray, first: np.ndarray, grams: int) -> np.ndarray:
 # ------------------------------------------------------------ counting
 
 
-def _count(blocks: DataFrame, model: Model, level: int, ranges: list[int], finish) -> None:
+def _count(blocks: DataFrame, model: Model, level: int, ranges: list[int], finish) -> dict[int, dict]:
     """Merge blocks into the level's files; ``finish`` writes them and gives numbers."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -287,6 +315,47 @@ def _count(blocks: DataFrame, model: Model, level: int, ranges: list[int], finis
     # Spark drops the blocks' shuffle files once nothing refers to them.
     gc.collect()
     blocks.sparkSession.sparkContext._jvm.System.gc()
+    return by
+
+
+def _cut_points(counts: np.ndarray, file_tokens: int) -> dict:
+    """Where the grams that follow a file's grams are cut: (place, piece, pieces) in order.
+
+    No run between cuts follows more than ``file_tokens`` tokens, but for one gram's
+    excess, and a gram that more follow is cut in pieces.  ``before`` and ``after`` are the tokens
+    up to the first cut and from the last one.
+    """
+    total = np.cumsum(counts.astype(np.int64))
+    if not len(total):
+        return {"cuts": [], "before": 0, "after": 0}
+    part = np.maximum(total - 1, 0) // file_tokens
+    new = np.flatnonzero(part[1:] != part[:-1]) + 1
+    if counts[0] > file_tokens:
+        new = np.append(0, new)
+    cuts = [(int(i), j, pieces) for i in new for pieces in [-(-int(counts[i]) // file_tokens) or 1] for j in range(pieces)]
+    whole = int(total[-1])
+    if not cuts:
+        return {"cuts": [], "before": whole, "after": whole}
+    i, _, pieces = cuts[-1]
+    return {"cuts": cuts, "before": int(total[new[0]] - counts[new[0]]), "after": whole - int(total[i]) + int(counts[i]) // pieces}
+
+
+def _ranges(points: dict[int, dict], model: Model, level: int, texts: int, file_tokens: int) -> list[int]:
+    """Least keys of a level's files, from the points of the files one level down."""
+    starts, width = model.starts[level - 1], model.types + 1
+    least, held = [0], 0
+    for s in sorted(points):
+        p = points[s]
+        if held + p["before"] > file_tokens:
+            least.append(starts[s] * width)
+            held = 0
+        least += [(starts[s] + i) * width + width * j // pieces for i, j, pieces in p["cuts"]]
+        held = p["after"] if p["cuts"] else held + p["before"]
+    # The start of a text is a context beside the grams.
+    if held + texts > file_tokens:
+        pieces = max(1, -(-texts // file_tokens))
+        least += [(starts[-1] + 1) * width + width * j // pieces for j in range(pieces)]
+    return sorted(set(least))
 
 
 def discounts(n: np.ndarray) -> list[float]:
@@ -310,13 +379,13 @@ def _write_counts(reader: Reader, level: int, shard: int, counts: np.ndarray) ->
     reader.shared.write(f"adjx{level}-{shard}", np.stack([large, counts[large]]).astype(np.uint32).tobytes())
 
 
-def _write_sums(reader: Reader, level: int, shard: int, contexts: np.ndarray, counts: np.ndarray, low: int, high: int) -> None:
+def _write_sums(reader: Reader, level: int, shard: int, contexts: np.ndarray, counts: np.ndarray) -> None:
     """Sum of counts and numbers of 1, 2, 3+ per context of the file's range.
 
     Without a 3+ the numbers say all: n1 + 16 * n2 in a byte, if they are small.
     """
-    i = contexts - low
-    n = high - low
+    low, above = reader.spans(level)
+    i, n = contexts - low[shard], int(above[shard] - low[shard])
     n1, n2, n3 = (np.bincount(i[mask], minlength=n).astype(np.uint32) for mask in (counts == 1, counts == 2, counts >= 3))
     large = np.flatnonzero((n3 > 0) | (n1 > 15) | (n2 > 14))
     code = (n1 + 16 * n2).astype(np.uint8)
@@ -327,8 +396,8 @@ def _write_sums(reader: Reader, level: int, shard: int, contexts: np.ndarray, co
     reader.shared.write(f"sumx{level}-{shard}", np.stack([c.astype(np.uint32) for c in columns]).tobytes())
 
 
-def train(texts: DataFrame, order: int = ORDER) -> Model:
-    """Count the ``text`` column of a table into a model of ``order`` 2 or more."""
+def train(texts: DataFrame, order: int = ORDER, file_tokens: int = GRAM_FILE_TOKENS) -> Model:
+    """Count the ``text`` column of a table into a model of ``order`` 2 or more, in files of about ``file_tokens``."""
     if order < 2:
         raise ValueError("the order is 2 or more")
     spark = texts.sparkSession
@@ -353,11 +422,15 @@ def train(texts: DataFrame, order: int = ORDER) -> Model:
     def finish_words(reader: Reader, shard: int, keys: np.ndarray, counts: np.ndarray) -> dict:
         reader.shared.write(f"keys1-{shard}", keys.tobytes())
         reader.shared.write(f"count1-{shard}", counts.astype(np.uint64).tobytes())
-        return {"n": len(keys), "keys": 1, "tokens": int(counts.sum())}
+        # Nothing follows an end.
+        ends = keys == _END
+        return {"n": len(keys), "keys": 1, "tokens": int(counts.sum()), "texts": int(counts[ends].sum()), **_cut_points(np.where(ends, 0, counts), file_tokens)}
 
-    _count(texts.mapInArrow(count_words, BLOCKS), model, 1, model.ranges[1], finish_words)
+    points = _count(texts.mapInArrow(count_words, BLOCKS), model, 1, model.ranges[1], finish_words)
+    n_texts = sum(p["texts"] for p in points.values())
     for level in range(2, order + 1):
-        _count_grams(texts, model, level)
+        model.ranges[level] = _ranges(points, model, level, n_texts, file_tokens)
+        points = _count_grams(texts, model, level, file_tokens)
     for level in range(order - 1, 0, -1):
         _count_neighbours(spark, model, level)
         if level > 2:
@@ -365,17 +438,14 @@ def train(texts: DataFrame, order: int = ORDER) -> Model:
     return model
 
 
-def _count_grams(texts: DataFrame, model: Model, level: int) -> None:
-    contexts = model.starts[level - 1][-1] + 2
-    files = max(1, int(np.ceil(model.tokens / GRAM_FILE_TOKENS)))
-    ranges = [contexts * s // files for s in range(files)]
+def _count_grams(texts: DataFrame, model: Model, level: int, file_tokens: int) -> dict[int, dict]:
     width = np.uint64(model.types + 1)
-    if contexts * (model.types + 1) >= 1 << 64:
+    if (model.starts[level - 1][-1] + 2) * (model.types + 1) >= 1 << 64:
         raise OverflowError("keys of this order do not fit 64 bits")
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         reader, held, n = Reader(model), [], 0
-        cuts = np.array(ranges[1:], np.uint64) * width
+        cuts = np.array(model.ranges[level][1:], np.uint64)
         for batch in batches:
             for step in _steps(batch.column(0)):
                 held.append(_summed(_token_keys(reader, step, level)[-1], None))
@@ -394,14 +464,14 @@ def _count_grams(texts: DataFrame, model: Model, level: int) -> None:
         if not top:
             if level > 2:
                 reader.shared.write(f"suffix{level}-{shard}", _suffixes(reader, level, before, word).tobytes())
-            return {"n": len(keys), "keys": 1}
+            end = reader.ids(1, np.array([_END]))[0]
+            return {"n": len(keys), "keys": 1, **_cut_points(np.where(word == np.uint64(end), 0, counts), file_tokens)}
         _write_counts(reader, level, shard, counts)
-        _write_sums(reader, level, shard, before, counts, ranges[shard], ([*ranges, contexts])[shard + 1])
+        _write_sums(reader, level, shard, before, counts)
         seen, totals = _of_counts(counts)
         return {"n": len(keys), "keys": 1, "of_counts": seen, "totals": totals}
 
-    model.ranges[level] = ranges
-    _count(texts.mapInArrow(count, BLOCKS), model, level, ranges, finish)
+    return _count(texts.mapInArrow(count, BLOCKS), model, level, model.ranges[level], finish)
 
 
 def _suffixes(reader: Reader, level: int, before: np.ndarray, word: np.ndarray) -> np.ndarray:
@@ -439,7 +509,7 @@ def _count_neighbours(spark, model: Model, level: int) -> None:
         _write_counts(reader, level, shard, adjusted)
         if level > 1:
             before = (np.asarray(reader.file("keys", level, shard, np.uint64)) // width).astype(np.int64)
-            _write_sums(reader, level, shard, before, adjusted, model.ranges[level][shard], ([*model.ranges[level], model.starts[level - 1][-1] + 2])[shard + 1])
+            _write_sums(reader, level, shard, before, adjusted)
         seen, totals = _of_counts(adjusted)
         return {"n": len(adjusted), "of_counts": seen, "totals": totals}
 

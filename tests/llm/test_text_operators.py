@@ -195,6 +195,39 @@ def test_lm_scores_equal_brute_force(spark, order):
         assert r.base_score == pytest.approx(w[3]) and r.score == pytest.approx(w[4])
 
 
+@pytest.mark.parametrize("order", [2, 3, 4])
+def test_lm_splits_frequent_contexts(spark, order):
+    """Files of a few tokens: the contexts of frequent words and of the start lie in many files."""
+    from polyprov.llm.lm_score import Reader, score, train
+
+    rng = np.random.default_rng(5)
+    texts = [" ".join(w for x in rng.integers(0, 40, 25) for w in ("the", f"w{x}")) for _ in range(120)]
+    d = docs(spark, [*ODD, *texts])
+    model = train(d, order, file_tokens=50)
+    low, above = Reader(model).spans(2)
+    assert max(np.bincount(low)) > 10 and (low[1:] <= above[:-1]).all() and (above[1:] >= low[1:]).all()
+    want = brute_scores(list(enumerate([*ODD, *texts])), order, lambda i: False)
+    for r in score(d, model).collect():
+        assert (r.n_tokens, r.n_known, r.train_tokens) == want[r.doc_id][:3]
+        assert r.score == pytest.approx(want[r.doc_id][4])
+
+
+def test_lm_cut_points_bound_the_load():
+    from polyprov.llm.lm_score import Model, _cut_points, _ranges
+
+    rng = np.random.default_rng(9)
+    for most in (3, 30, 300):
+        counts = rng.integers(0, most, 400)
+        parts = np.split(counts, [0, 7, 100, 330])
+        model = Model("", 2, starts={1: [0, *np.cumsum([len(p) for p in parts]).tolist()]})
+        width = len(counts) + 1
+        ranges = _ranges({s: _cut_points(p, 50) for s, p in enumerate(parts)}, model, 2, 120, 50)
+        # Tokens spread evenly over the words that follow.
+        keys = np.concatenate([i * width + np.arange(c) * width // max(c, 1) for i, c in enumerate([*counts, 0, 120])])
+        loads = np.bincount(np.searchsorted(ranges, keys, side="right") - 1, minlength=len(ranges))
+        assert ranges[0] == 0 and loads.sum() == counts.sum() + 120 and loads.max() <= 160
+
+
 def test_lm_registered_order_sees_two_words_before(spark, tmp_path):
     """The registered query's scores are those of a trigram model; counts and sums beyond a byte, too."""
     from polyprov.llm.registry import queries
