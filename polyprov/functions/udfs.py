@@ -92,6 +92,41 @@ def what_if(df: DataFrame, deleted: Iterable[str], columns: dict[str, str], prov
     return out.withColumns({c: eval_value(F.col(t), deleted) for c, t in columns.items()})
 
 
+def what_if_joined(df: DataFrame, deleted: DataFrame, columns: dict[str, str], keys: list[str], prov: str = "prov") -> DataFrame:
+    """``what_if`` for many deletions: ``deleted`` has a column ``token`` and stays distributed.
+
+    ``keys`` tell the result's rows apart.  A row gets the deleted tokens that it holds, by a
+    join on tokens, and is evaluated with these alone.
+    """
+    lists = [_tokens_in(F.col(prov), parse), *[_tokens_in(F.col(t), parse_value) for t in dict.fromkeys(columns.values())]]
+    held = df.select(*keys, F.explode(F.array_distinct(F.flatten(F.array(*lists)))).alias("token"))
+    gone = held.join(deleted.select("token").distinct(), "token").groupBy(*[F.col(k).alias(f"_key_{i}") for i, k in enumerate(keys)]).agg(F.collect_list("token").alias("_gone"))
+    condition = F.lit(True)
+    for i, k in enumerate(keys):
+        condition = condition & F.col(k).eqNullSafe(F.col(f"_key_{i}"))
+    joined = df.join(gone, condition, "left").drop(*[f"_key_{i}" for i in range(len(keys))])
+
+    @F.pandas_udf("long")
+    def count(s: pd.Series, gone: pd.Series) -> pd.Series:
+        return pd.Series([0 if x is None else ev.evaluate(x, ev.without(() if g is None else g)) for x, g in zip(s, gone, strict=True)])
+
+    @F.pandas_udf("string")
+    def value(s: pd.Series, gone: pd.Series) -> pd.Series:
+        values = [None if x is None else ev.evaluate_value(x, ev.without(() if g is None else g)) for x, g in zip(s, gone, strict=True)]
+        return pd.Series([None if v is None else str(v) for v in values], dtype=object)
+
+    out = joined.where(count(F.col(prov), F.col("_gone")) > 0)
+    return out.withColumns({c: value(F.col(t), F.col("_gone")) for c, t in columns.items()}).drop("_gone")
+
+
+def _tokens_in(text: Column, parser) -> Column:
+    @F.pandas_udf("array<string>")
+    def run(s: pd.Series) -> pd.Series:
+        return pd.Series([[] if x is None else sorted(ev.tokens(parser(x))) for x in s], dtype=object)
+
+    return run(text)
+
+
 def truncated(prov: Column, n: int) -> Column:
     """Bounded display: the first n alternatives of a sum, and how many there are."""
     parts = F.split(prov, " \\+ ")

@@ -3,13 +3,20 @@
 Base annotation, selection, projection and bag union are stateless and work on a
 stream as they are.  Windows keep their tokens in state until the watermark
 passes: long windows over wide streams should carry gate ids instead (`edges`).
-Late rows are dropped by the watermark and never enter an annotation.
+Late rows are dropped by the watermark and never enter an annotation;
+``write_with_late`` keeps them, with their tokens, beside the others.
+``running`` is a stateful operator whose annotations are chains of gates: its state
+is a count and a sum per key, however many rows have been seen.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState
 
 from polyprov.functions.algebra import ordered_listagg
 from polyprov.functions.circuit import gate, token_gate
@@ -66,3 +73,70 @@ def write_batches(stream: DataFrame, path: str, checkpoint: str):
         batch.write.mode("overwrite").parquet(f"{path}/epoch={epoch}")
 
     return stream.writeStream.foreachBatch(write).option("checkpointLocation", checkpoint)
+
+
+def write_with_late(stream: DataFrame, time: str, delay: str, path: str, checkpoint: str):
+    """Each micro-batch to ``path/rows``, its late rows to ``path/late``.
+
+    A row is late if its time lies more than ``delay`` (such as ``1 hour``) before the latest time of all
+    *former* batches.  That time is kept per batch in ``path/latest``: a batch that is
+    run again reads the same one and overwrites its own folders.  Rows without a time are not late.
+    """
+    kind = stream.schema[time].dataType
+
+    def write(batch: DataFrame, epoch: int) -> None:
+        spark = batch.sparkSession
+        latest = f"{path}/latest"
+        schema = f"at {kind.simpleString()}"
+        former = spark.read.schema(schema).parquet(f"{latest}/batch={epoch - 1}").select("at") if epoch else spark.createDataFrame([], schema)
+        # One row: a global aggregate.
+        bound = former.agg((F.max("at") - F.expr(f"INTERVAL {delay}")).alias("_bound"))
+        marked = batch.join(F.broadcast(bound)).withColumn("_late", F.coalesce(F.col(time) < F.col("_bound"), F.lit(False))).drop("_bound").persist()
+        try:
+            marked.where(~F.col("_late")).drop("_late").write.mode("overwrite").parquet(f"{path}/rows/epoch={epoch}")
+            marked.where("_late").drop("_late").write.mode("overwrite").parquet(f"{path}/late/epoch={epoch}")
+            former.unionAll(marked.select(F.col(time).alias("at"))).agg(F.max("at").alias("at")).write.mode("overwrite").parquet(f"{latest}/batch={epoch}")
+        finally:
+            marked.unpersist()
+
+    return stream.writeStream.foreachBatch(write).option("checkpointLocation", checkpoint)
+
+
+def running(stream: DataFrame, keys: list[str], time: str, value: str, scale: int = 4) -> DataFrame:
+    """keys, n, total, token, value: the running count and sum after each row of its key.
+
+    ``stream`` is annotated.  The rows of a micro-batch come in order of time and token; batches in theirs.
+    A null value counts as a row and adds nothing.  ``running_edges`` gives the annotations.
+    """
+    unit = F.lit(10**scale)
+    ready = stream.select(*keys, F.col(time).alias("_time"), F.col("prov").alias("token"), (F.col(value).cast(f"decimal(18,{scale})") * unit).cast("long").alias("units"))
+    head = ready.select(*keys).schema
+
+    def advance(key: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        n, units = state.get if state.exists else (0, 0)
+        rows = pd.concat(list(parts)).sort_values(["_time", "token"], kind="stable")
+        steps = [0 if pd.isna(x) else int(x) for x in rows["units"]]
+        totals = []
+        for step in steps:
+            units += step
+            totals.append(units)
+        out = rows[[*keys, "token", "units"]].assign(n=range(n + 1, n + len(rows) + 1), total=totals)
+        state.update((n + len(rows), units))
+        yield out[[*keys, "n", "total", "token", "units"]]
+
+    kept = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in head)
+    out = ready.groupBy(*keys).applyInPandasWithState(advance, f"{kept}, n long, total long, token string, units long", "n long, units long", "append", "NoTimeout")
+    exact = f"decimal(38,{scale})"
+    return out.select(*keys, "n", (F.col("total").cast("decimal(28,0)") / unit).cast(exact).alias("total"), "token", (F.col("units").cast("decimal(28,0)") / unit).cast(exact).alias("value"))
+
+
+def running_edges(rows: DataFrame, keys: list[str]) -> DataFrame:
+    """Edges of running sums: each total's gate leads to the gate before it and to its row's token."""
+    name = F.to_json(F.struct(*keys))
+    own, before = gate(F.lit("running"), name, F.col("n")), gate(F.lit("running"), name, F.col("n") - 1)
+    children = F.array(
+        F.struct(F.when(F.col("n") > 1, before).alias("child"), F.lit(0).alias("ord"), F.lit(None).cast("string").alias("value")),
+        F.struct(token_gate(F.col("token")).alias("child"), F.lit(1).alias("ord"), F.col("value").cast("string").alias("value")),
+    )
+    edge = F.explode(F.filter(children, lambda c: c["child"].isNotNull()))
+    return rows.select(own.alias("parent"), edge.alias("edge")).select("parent", "edge.child", "edge.ord", "edge.value")

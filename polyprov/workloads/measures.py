@@ -54,18 +54,18 @@ _DROPPED = "c_custkey % 10 = 3"
 @engine_query("what_if_delete", f"SELECT c_mktsegment, count(*) AS n, {o.number('sum(c_acctbal)')} AS v FROM customer WHERE NOT {_DROPPED} GROUP BY 1")
 def _what_if(engine: Engine, sf_dir: str) -> DataFrame:
     """Deletion on the annotated result against the query over the reduced table."""
-    gone = [r.t for r in engine.plain("SELECT c_custkey FROM customer").where(_DROPPED).select(F.concat(F.lit("c:"), "c_custkey").alias("t")).collect()]
+    gone = engine.plain("SELECT c_custkey FROM customer").where(_DROPPED).select(F.concat(F.lit("c:"), "c_custkey").alias("token"))
     df = engine.rewrite("SELECT c_mktsegment, count(*) AS n, sum(c_acctbal) AS v FROM customer GROUP BY c_mktsegment", mode="symbolic")
-    out = udfs.what_if(df, gone, {"n": "n", "v": "v"})
+    out = udfs.what_if_joined(df, gone, {"n": "n", "v": "v"}, ["c_mktsegment"])
     return out.select("c_mktsegment", F.col("n").cast("bigint").alias("n"), F.col("v").cast("double").alias("v"))
 
 
 @engine_query("what_if_having", f"SELECT user_id FROM events WHERE event_id % 7 <> 0 GROUP BY 1 HAVING sum(value) <= 6000")
 def _what_if_having(engine: Engine, sf_dir: str) -> DataFrame:
     """A row that a valued run has dropped can come back: symbolic mode has it."""
-    gone = [r.t for r in engine.plain("SELECT event_id FROM events").where("event_id % 7 = 0").select(F.concat(F.lit("e:"), "event_id").alias("t")).collect()]
+    gone = engine.plain("SELECT event_id FROM events").where("event_id % 7 = 0").select(F.concat(F.lit("e:"), "event_id").alias("token"))
     df = engine.rewrite("SELECT user_id, sum(value) AS v FROM events GROUP BY user_id HAVING sum(value) <= CAST(6000 AS DOUBLE)", mode="symbolic")
-    return udfs.what_if(df, gone, {}).select("user_id")
+    return udfs.what_if_joined(df, gone, {}, ["user_id"]).select("user_id")
 
 
 @engine_query("monomials", f"SELECT n_regionkey AS k, 'n:' || n_nationkey || ',s:' || s_suppkey AS monomial, CAST(1 AS BIGINT) AS coef FROM nation JOIN supplier ON n_nationkey = s_nationkey")
