@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from polyprov import baselines, metrics, validate
 from polyprov.engine import Engine
 from polyprov.functions import udfs
-from polyprov.functions.algebra import ALGEBRAS
+from polyprov.functions.algebra import ALGEBRAS, measured
 from polyprov.functions.circuit import circuit
 from polyprov.operators.temporal import asof_join, interval_join
 from polyprov.options import Options
@@ -264,9 +264,10 @@ def _sizes(mode: str):
     def run(engine: Engine, sf_dir: str) -> DataFrame:
         rows = []
         for n in tpch.QUERIES:
-            df = engine.rewrite(tpch.text(n, sf_dir), mode=mode)
+            with measured():
+                df = engine.rewrite(tpch.text(n, sf_dir), mode=mode)
             texts = ["prov"] + [c if mode == "symbolic" else f"{c}_agg" for c in AGGREGATED.get(n, ())]
-            rows.append((n, metrics.size_of(df.select(*texts))))
+            rows.append((n, metrics.total(df, texts)))
         return engine.spark.createDataFrame(rows, "query string, characters long")
 
     return run
